@@ -20,6 +20,15 @@ def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(table(spark, sf_dir, "pages"))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .common import held_out
+    from .toxicity import judge, learn
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    grammar = learn(docs, table(spark, sf_dir, "labels"))
+    return judge(docs, grammar).select("doc_id", held_out("doc_id").alias("held_out"), F.col("toxicity").alias("score"), F.col("toxic").alias("predicted"))
+
+
 def op8_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .minhash_dedup import near_duplicates
 
@@ -67,6 +76,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(docs, trees).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "quality_score")
 
 
-QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op4_chat_format, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op4_chat_format, op5_toxicity, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {}
