@@ -42,6 +42,12 @@ def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("place").alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op3_word_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .word_bpe import decode, digests, encode
+
+    return digests(decode(encode(table(spark, sf_dir, "documents"))))
+
+
 def op4_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     import hashlib
 
@@ -76,6 +82,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(docs, trees).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "quality_score")
 
 
-QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op4_chat_format, op5_toxicity, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {}
