@@ -29,6 +29,12 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(docs, grammar).select("doc_id", held_out("doc_id").alias("held_out"), F.col("toxicity").alias("score"), F.col("toxic").alias("predicted"))
 
 
+def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .packing import pack, pieces
+
+    return pack(pieces(table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
 def op8_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .minhash_dedup import near_duplicates
 
@@ -82,6 +88,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(docs, trees).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "quality_score")
 
 
-QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op6_best_fit_packing, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {}
