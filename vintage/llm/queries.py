@@ -35,6 +35,15 @@ def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(pieces(table(spark, sf_dir, "documents").select("doc_id", "text")))
 
 
+def op7_edit_aware_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts of every whole text before and after three edits of it; only touched regions are encoded again."""
+    from .token_counts import apply_edits, build_trees, sample_edits
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text").withColumn("edits", sample_edits())
+    counted = build_trees(docs).withColumn("before", F.col("n_tokens"))
+    return apply_edits(counted).select("doc_id", F.col("before").alias("n_tokens"), F.col("n_tokens").alias("n_tokens_after"), F.char_length("text").cast("long").alias("n_chars_after"), "re_encoded", "edits")
+
+
 def op8_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .minhash_dedup import near_duplicates
 
@@ -88,6 +97,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(docs, trees).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "quality_score")
 
 
-QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op6_best_fit_packing, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op6_best_fit_packing, op7_edit_aware_counts, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
 
 ORACLE_SQL: dict[str, str] = {}
