@@ -54,15 +54,15 @@ def _without(docs: DataFrame, gone: DataFrame, parts: Column, glue: str) -> Data
 
 
 def minhash_bands(docs: DataFrame, bands: int, rows: int, n: int = 5) -> DataFrame:
-    """(doc_id, band, key, grams): band keys of native min-hashes over shingles of n words."""
-    sets = docs.select("doc_id", shingles(tokens(F.col("text")), n).alias("grams")).where(F.size("grams") > 0)
-    hashes = sets.withColumn("h", F.transform("grams", lambda g: F.xxhash64(g)))
+    """(doc_id, band, key): band keys of native min-hashes over shingles of n words.
 
-    def least(seed: int) -> Column:
-        return F.array_min(F.transform("h", lambda x: F.xxhash64(x, F.lit(seed))))
-
-    keys = F.array(*(F.struct(F.lit(k).alias("band"), F.xxhash64(*(least(k * rows + r) for r in range(rows))).alias("key")) for k in range(bands)))
-    return hashes.select("doc_id", "grams", F.explode(keys).alias("b")).select("doc_id", "grams", "b.band", "b.key")
+    A document's shingles lie in one task, so the minima are taken there, in
+    generated code, and one row a document is shuffled.
+    """
+    grams = docs.select("doc_id", F.explode(shingles(tokens(F.col("text")), n)).alias("g")).select("doc_id", F.xxhash64("g").alias("h"))
+    least = grams.groupBy("doc_id").agg(*(F.min(F.xxhash64("h", F.lit(k))).alias(f"m{k}") for k in range(bands * rows)))
+    keys = F.array(*(F.xxhash64(*(f"m{k * rows + r}" for r in range(rows))) for k in range(bands)))
+    return least.select("doc_id", F.posexplode(keys).alias("band", "key"))
 
 
 def dedup_fuzzy(docs: DataFrame, bands: int = 16, rows: int = 4, jaccard: float = 0.8) -> DataFrame:
@@ -73,7 +73,7 @@ def dedup_fuzzy(docs: DataFrame, bands: int = 16, rows: int = 4, jaccard: float
     """
     hit = minhash_bands(docs, bands, rows)
     heads = hit.groupBy("band", "key").agg(F.min("doc_id").alias("head"), F.count(F.lit(1)).alias("m")).where("m > 1").select("band", "key", "head")
-    pairs = hit.select("doc_id", "band", "key").join(heads, ["band", "key"]).where("doc_id != head").select("doc_id", "head").distinct()
+    pairs = hit.join(heads, ["band", "key"]).where("doc_id != head").select("doc_id", "head").distinct()
     sets = docs.select("doc_id", shingles(tokens(F.col("text")), 5).alias("grams"))
     met = pairs.join(sets, "doc_id").join(sets.select(F.col("doc_id").alias("head"), F.col("grams").alias("hg")), "head")
     both = F.size(F.array_intersect("grams", "hg"))
