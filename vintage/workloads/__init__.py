@@ -1,6 +1,6 @@
 """Queries on the given tables, and their SQL counterparts."""
 
-from . import probing, retrieval
+from . import pipelines, probing, retrieval
 
-QUERIES = {**probing.QUERIES, **retrieval.QUERIES}
-ORACLE_SQL = {**probing.ORACLE_SQL, **retrieval.ORACLE_SQL}
+QUERIES = {**probing.QUERIES, **retrieval.QUERIES, **pipelines.QUERIES}
+ORACLE_SQL = {**probing.ORACLE_SQL, **retrieval.ORACLE_SQL, **pipelines.ORACLE_SQL}
