@@ -1,9 +1,9 @@
 """Operator 3: byte-level BPE over a global shuffle of distinct words.
 
 Whole texts are cut into pre-tokens. A chunk of documents lists its distinct
-words once and, by position, which word stands where (its code column). Words
-are dealt to tasks by their hash, each task encodes each distinct word once,
-and the ids travel back to the chunks, where positions put them in order. A
+words once and, by position, which word stands where. Words are dealt to tasks
+by their hash, each task encodes each distinct word once, and the ids travel to
+the chunks' positions, which put them in order. A
 chunk hands over its words packed by hash bucket, so the shuffle holds a row for
 each chunk and bucket, not for each pre-token, and a word that every document
 uses costs no more than a rare one. Decoding looks ids up in the token-byte
@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import WordCache, encoding, ragged, split, token_bytes, vocabulary_path
-from .common import slices, texts_of
+from .common import settle, slices, texts_of
 
 CHUNK, PIECE = 6 << 20, 1 << 15
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
@@ -62,98 +62,111 @@ def _runs(counts: list[int], limit: int):
         yield start, len(counts)
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text: str = "text", vocabulary: str = VOCABULARY, buckets: int | None = None) -> DataFrame:
-    """(id, ids array<int>) for each row. ``buckets`` word buckets, by default as
-    many as the session's shuffle partitions, so they grow with the cluster's setting."""
+def _in_order(words, n_buckets: int) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+    """The distinct words of a chunk by bucket and then by bytes, where each bucket
+    starts, and the place of each word in that order: the same whoever works it out."""
+    raw = [w.encode("utf-8") for w in words]
+    bucket = np.fromiter((zlib.crc32(w) % n_buckets for w in raw), np.int64, len(raw))
+    order = sorted(range(len(raw)), key=raw.__getitem__)
+    order = np.array(order, np.int64)[np.argsort(bucket[order], kind="stable")] if raw else np.empty(0, np.int64)
+    place = np.empty(len(raw), np.int64)
+    place[order] = np.arange(len(raw))
+    return [raw[i] for i in order], np.searchsorted(bucket[order], np.arange(n_buckets + 1)), place
+
+
+def _chunks(batches):
+    """(chunk, sub-batch): a chunk's name is a digest of its rows' place and size, so both passes must cut alike."""
+    part, seq = TaskContext.get().partitionId(), 0
+    for b in slices(batches, "text", CHUNK):
+        sizes = b.column("text").cast(pa.binary()).to_pylist()
+        yield f"{part}/{seq}/{zlib.crc32(repr([x and len(x) for x in sizes]).encode()):08x}/{zlib.crc32(b''.join(x or b'' for x in sizes)):08x}", b
+        seq += 1
+
+
+def encode(docs: DataFrame, id_col: str = "doc_id", text: str = "text", vocabulary: str = VOCABULARY, buckets: int | None = None, plain_scan: bool = False) -> DataFrame:
+    """(id, ids array<int>) for each row.
+
+    Texts are cut twice: once for the words, which are dealt out by bucket, and
+    once for the positions, which go to their chunk directly; that is cheaper
+    than moving every position through the word tasks. Both passes must see the
+    same chunks, so the input is written out first unless it is a ``plain_scan``
+    of files; chunks that differ all the same end the job with an error.
+    ``buckets`` word buckets, by default as many as the session's shuffle
+    partitions, so they grow with the cluster's setting.
+    """
     spark = docs.sparkSession
     n_buckets = buckets or max(16, int(spark.conf.get("spark.sql.shuffle.partitions")))
     kind = dict(docs.dtypes)[id_col]
-    pa_kind = docs.select(id_col).schema[0].dataType
+    lean = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"))
+    lean = lean if plain_scan else settle(lean)
 
-    def chunks(batches):
-        part, seq = TaskContext.get().partitionId(), 0
-        for b in slices(batches, "text", CHUNK):
+    def list_words(batches):
+        for chunk, b in _chunks(batches):
+            seen: dict[str, None] = {}
+            for t in texts_of(b, "text"):
+                seen.update(dict.fromkeys(split(t)))
+            words, cut, _ = _in_order(seen, n_buckets)
+            rows = [(k, i, j) for k, (i, j) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)) if j > i]
+            yield pa.RecordBatch.from_arrays([
+                pa.array([chunk] * len(rows), pa.string()), pa.array([k for k, _, _ in rows], pa.int32()), pa.array([i for _, i, _ in rows], pa.int32()),
+                pa.array([zlib.compress(b"".join(words[i:j]), 1) for _, i, j in rows], pa.binary()),
+                pa.array([_pack(np.array([len(w) for w in words[i:j]], np.int32)) for _, i, j in rows], pa.binary()),
+            ], ["chunk", "bucket", "first", "words", "lens"])
+
+    def list_places(batches):
+        for chunk, b in _chunks(batches):
             code: dict[str, int] = {}
             column, counts = [], []
             for t in texts_of(b, "text"):
                 words = split(t)
                 counts.append(len(words))
-                column.append(np.fromiter((code.setdefault(w, len(code)) for w in words), np.int64, len(words)))
-            raw = [w.encode("utf-8") for w in code]
-            bucket = np.fromiter((zlib.crc32(w) % n_buckets for w in raw), np.int64, len(raw))
-            order = np.argsort(bucket, kind="stable")
-            cut = np.searchsorted(bucket[order], np.arange(n_buckets + 1))
-            chunk = part << 32 | seq
-            seq += 1
-            rows = {"chunk": [], "bucket": [], "codes": [], "words": [], "lens": [], "high": []}
-            for k in range(n_buckets):
-                at = order[cut[k] : cut[k + 1]]
-                if len(at):
-                    own = [raw[i] for i in at]
-                    for name, x in zip(rows, (chunk, k, _pack(at.astype(np.int32)), zlib.compress(b"".join(own), 1), _pack(np.array([len(w) for w in own], np.int32)), None), strict=True):
-                        rows[name].append(x)
-            n = len(rows["chunk"])
-            # The code column follows in pieces of whole documents, numbered -1, -2, ...
-            ends = [n]
-            for k, (i, j) in enumerate(_runs(counts, PIECE)):
-                low, high = _narrow(np.concatenate(column[i:j]))
-                for name, x in zip(rows, (chunk, -1 - k, low, None, _pack(np.array(counts[i:j], np.int64)), high), strict=True):
-                    rows[name].append(x)
-                ends.append(j)
-            kinds = (pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary())
-            lists = pa.ListArray.from_arrays(pa.array([0] * n + [0, *ends[1:]], pa.int32()), b.column("id"))  # ids go with their piece
-            yield pa.RecordBatch.from_arrays([*(pa.array(v, t) for v, t in zip(rows.values(), kinds, strict=True)), lists], [*rows, "doc_ids"])
-
-    fields = f"chunk long, bucket int, codes binary, words binary, lens binary, high binary, doc_ids array<{kind}>"
-    lean = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"))
-    cut = lean.mapInArrow(chunks, fields)
-    # Pieces of code columns wait for their chunk's words; they pass the word tasks evenly spread.
-    dealt = cut.repartition(F.when(F.col("bucket") >= 0, F.col("bucket")).otherwise(F.hash("chunk", "bucket")))
-
-    def words(batches):
+                column.append(np.fromiter((code.setdefault(w, len(code)) for w in words), np.int32, len(words)))
+            _, _, place = _in_order(code, n_buckets)
+            ids, rows = b.column("id"), list(_runs(counts, PIECE))
+            halves = [_narrow(place[np.concatenate(column[i:j])] if sum(counts[i:j]) else np.empty(0, np.int64)) for i, j in rows]
+            yield pa.RecordBatch.from_arrays([
+                pa.array([chunk] * len(rows), pa.string()), pa.array([-1 - k for k in range(len(rows))], pa.int32()), pa.array([len(code)] * len(rows), pa.int32()),
+                pa.array([x for x, _ in halves], pa.binary()), pa.array([x for _, x in halves], pa.binary()),
+                pa.array([_pack(np.array(counts[i:j], np.int64)) for i, j in rows], pa.binary()),
+                pa.ListArray.from_arrays(pa.array([0, *(j for _, j in rows)], pa.int32()), ids),
+            ], ["chunk", "bucket", "first", "low", "high", "lens", "doc_ids"])
+
+    words = lean.mapInArrow(list_words, "chunk string, bucket int, first int, words binary, lens binary").repartition("bucket")
+    places = lean.mapInArrow(list_places, f"chunk string, bucket int, first int, low binary, high binary, lens binary, doc_ids array<{kind}>")
+
+    def encode_words(batches):
         ranks = encoding(vocabulary_path(vocabulary))
-        seen = WordCache(lambda w: np.array(ranks.encode_ordinary(w.decode("utf-8")), np.uint32), 1_000_000)
+        seen = WordCache(lambda w: np.array(ranks.encode_ordinary(w.decode("utf-8")), np.uint32).tobytes(), 500_000)
         for b in batches:
-            lens, packed, highs, bodies = [], [], [], []
-            for bucket, ws, ls, high in zip(*(b.column(c).to_pylist() for c in ("bucket", "words", "lens", "high")), strict=True):
-                if bucket < 0:
-                    lens.append(ls), packed.append(None), highs.append(high), bodies.append(None)
-                    continue
-                body, at, got = zlib.decompress(ws), 0, []
-                for n in _unpack(ls, np.int32).tolist():
+            lens, lows, highs = [], [], []
+            for packed, sizes in zip(b.column("words").to_pylist(), b.column("lens").to_pylist(), strict=True):
+                body, at, got = zlib.decompress(packed), 0, []
+                for n in _unpack(sizes, np.int32).tolist():
                     got.append(seen[body[at : at + n]])
                     at += n
-                low, high = _narrow(np.concatenate(got))
-                lens.append(_pack(np.array([len(g) for g in got], np.int32))), packed.append(low), highs.append(high), bodies.append(None)
-            yield pa.RecordBatch.from_arrays([b.column("chunk"), b.column("bucket"), b.column("codes"), pa.array(packed, pa.binary()), pa.array(lens, pa.binary()), pa.array(highs, pa.binary()), b.column("doc_ids")], b.schema.names)
-
-    encoded = dealt.mapInArrow(words, fields)
-
-    def assemble(t: pa.Table) -> pa.Table:
-        flat, size, start, total, pieces, codes = [], [], [], 0, {}, []
-        for bucket, code, low, lens, high, own in zip(*(t.column(c).to_pylist() for c in ("bucket", "codes", "words", "lens", "high", "doc_ids")), strict=True):
-            if bucket < 0:
-                pieces[bucket] = _wide(code, high), _unpack(lens, np.int64), own
-                continue
-            ids, n = _wide(low, high), _unpack(lens, np.int32).astype(np.int64)
-            codes.append(_unpack(code, np.int32))
-            flat.append(ids)
-            size.append(n)
-            start.append(total + np.cumsum(n) - n)
-            total += len(ids)
+                low, high = _narrow(np.frombuffer(b"".join(got), np.uint32))
+                lens.append(_pack(np.array([len(g) // 4 for g in got], np.int32))), lows.append(low), highs.append(high)
+            yield pa.RecordBatch.from_arrays([b.column("chunk"), b.column("bucket"), b.column("first"), pa.array(lows, pa.binary()), pa.array(highs, pa.binary()), pa.array(lens, pa.binary())], ["chunk", "bucket", "first", "low", "high", "lens"])
+
+    encoded = words.mapInArrow(encode_words, "chunk string, bucket int, first int, low binary, high binary, lens binary")
+
+    def assemble(coded: pa.Table, placed: pa.Table) -> pa.Table:
+        columns = ("bucket", "first", "low", "high", "lens")
+        blocks = [(first, _wide(low, high), _unpack(lens, np.int32).astype(np.int64)) for _, first, low, high, lens in zip(*(coded.column(c).to_pylist() for c in columns), strict=True)]
+        pieces = {bucket: (_wide(low, high), _unpack(lens, np.int64), own, first) for bucket, first, low, high, lens, own in zip(*(placed.column(c).to_pylist() for c in (*columns, "doc_ids")), strict=True)}
+        blocks.sort(key=lambda x: x[0])  # places count through the buckets in this order
+        n_of = np.concatenate([np.empty(0, np.int64), *(n for _, _, n in blocks)])
+        flat = np.concatenate([np.empty(0, np.int64), *(ids for _, ids, _ in blocks)])
+        if not pieces or {p[3] for p in pieces.values()} != {len(n_of)}:
+            raise RuntimeError("the two passes over the texts saw different chunks; the input must be the same each time it is read")
         in_order = [pieces[k] for k in sorted(pieces, reverse=True)]
         column, counts, own = np.concatenate([p[0] for p in in_order]), np.concatenate([p[1] for p in in_order]), [x for p in in_order for x in p[2]]
-        at = np.zeros(len(column) and int(column.max()) + 1, np.int64)
-        n_of = np.zeros_like(at)
-        if codes:
-            where = np.concatenate(codes)
-            at[where], n_of[where] = np.concatenate(start), np.concatenate(size)
-        ids = ragged(np.concatenate(flat) if flat else np.empty(0, np.int64), at[column], n_of[column]).astype(np.int32)
+        starts = np.cumsum(n_of) - n_of
+        ids = ragged(flat, starts[column], n_of[column]).astype(np.int32)
         ends = np.concatenate([[0], np.cumsum(n_of[column])])[np.concatenate([[0], np.cumsum(counts)])]
-        return pa.table({"id": pa.array(own, t.schema.field("doc_ids").type.value_type), "ids": pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids))})
+        return pa.table({"id": pa.array(own, placed.schema.field("doc_ids").type.value_type), "ids": pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids))})
 
-    out = encoded.groupBy("chunk").applyInArrow(assemble, f"id {pa_kind.simpleString()}, ids array<int>")
-    return out.withColumnRenamed("id", id_col)
+    return encoded.groupBy("chunk").cogroup(places.groupBy("chunk")).applyInArrow(assemble, f"id {kind}, ids array<int>").withColumnRenamed("id", id_col)
 
 
 def decode(encoded: DataFrame, ids: str = "ids", vocabulary: str = VOCABULARY) -> DataFrame:
