@@ -112,15 +112,14 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> D
     return lean.mapInArrow(run, f"id {kind}, digest string, n_shingles long, bands array<long>, sig binary")
 
 
-def confirm(pairs: DataFrame, docs: DataFrame, text: str, percent: int) -> DataFrame:
-    """The pairs (a, b) of text digests whose full shingle sets are similar enough.
-
-    Texts are fetched for named digests only; one text of each digest is enough,
-    and equal texts are reduced to one before their shuffle.
-    """
-    named = pairs.select(F.explode(F.array("a", "b")).alias("digest")).distinct()
+def texts_by_digest(docs: DataFrame, digests: DataFrame, text: str) -> DataFrame:
+    """(digest, text), one row each; equal texts are reduced to one before their shuffle."""
     known = docs.select(F.md5(F.col(text).cast("binary")).alias("digest"), F.col(text).alias("text"))
-    texts = settle(known.join(named, "digest", "left_semi").groupBy("digest").agg(F.first("text").alias("text")))
+    return settle(known.join(digests, "digest", "left_semi").groupBy("digest").agg(F.first("text").alias("text")))
+
+
+def confirm(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) of text digests whose full shingle sets are similar enough."""
     first = pairs.join(texts.select(F.col("digest").alias("a"), F.col("text").alias("ta")), "a")
     both = first.join(texts.select(F.col("digest").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
 
@@ -132,7 +131,7 @@ def confirm(pairs: DataFrame, docs: DataFrame, text: str, percent: int) -> DataF
                 ta, tb = b.column("ta").to_pylist(), b.column("tb").to_pylist()
                 fine = []
                 for k in range(len(a)):
-                    if c[k] != last:  # rows come sorted by b
+                    if c[k] != last:  # rows mostly come sorted by b
                         last, kept = c[k], shingle_sets([tb[k].encode("utf-8", "surrogatepass")])[0]
                     fine.append(is_link(shingle_sets([ta[k].encode("utf-8", "surrogatepass")])[0], kept, percent))
                 yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(fine, pa.bool_()))
@@ -140,14 +139,44 @@ def confirm(pairs: DataFrame, docs: DataFrame, text: str, percent: int) -> DataF
     return both.mapInArrow(run, "a string, b string")
 
 
-def _across(left: DataFrame, percent: int, block: int) -> DataFrame:
-    """Candidate pairs of different components inside buckets, by blocks of members.
+def common(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Sizes of all intersections of two lists of distinct hashes, as one matrix product."""
+    values, at = np.unique(np.concatenate([*left, *right]), return_inverse=True)
+    row = np.repeat(np.arange(len(left) + len(right)), [len(x) for x in (*left, *right)])
+    several = np.bincount(at, minlength=len(values)) > 1  # a hash of one set is in no intersection
+    column = np.cumsum(several) - 1
+    keep = several[at]
+    row, at = row[keep], column[at[keep]]
+    out = np.zeros((len(left), len(right)), np.float32)
+    for start in range(0, int(several.sum()), 8192):
+        part = (at >= start) & (at < start + 8192)
+        m = np.zeros((len(left) + len(right), 8192), np.float32)
+        m[row[part], at[part] - start] = 1
+        out += m[: len(left)] @ m[len(left) :].T
+    return out.astype(np.int64)
+
+
+def forest(links: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Least number reachable inside one block of links, for its rows and its columns."""
+    a, b, top = left, right, np.iinfo(np.int64).max
+    while True:
+        a2 = np.minimum(a, np.where(links, b[None, :], top).min(axis=1, initial=top))
+        b2 = np.minimum(b, np.where(links, a2[:, None], top).min(axis=0, initial=top))
+        if (a2 == a).all() and (b2 == b).all():
+            return a2, b2
+        a, b = a2, b2
+
+
+def _across(left: DataFrame, texts: DataFrame, percent: int, block: int) -> DataFrame:
+    """Links (a, b) between members of one bucket that are in different components.
 
     ``left``: (bucket, digest, sig, part), one row a member of a bucket that
-    still holds several components. Each pair of blocks is one group.
+    still holds several components. Each pair of blocks of members is one group:
+    estimates pick who may link, full sets decide, and what leaves the group is
+    a spanning forest of its links, at most a row for each member.
     """
     sizes = left.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"))
-    blocks = F.greatest(F.lit(1), F.ceil(F.col("m") / block)).cast("int")
+    blocks = F.ceil(F.col("m") / block).cast("int")
     dealt = left.join(sizes, "bucket").withColumn("blocks", blocks).withColumn("mine", F.pmod(F.xxhash64("digest"), "blocks").cast("int"))
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("bucket", "digest", "sig", "part", "mine", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"))
@@ -155,23 +184,31 @@ def _across(left: DataFrame, percent: int, block: int) -> DataFrame:
 
     def run(t: pa.Table) -> pa.Table:
         i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
-        mine = t.column("mine").to_numpy()
-        digest, part = np.array(t.column("digest").to_pylist()), np.array(t.column("part").to_pylist())
+        mine, digest, text = t.column("mine").to_numpy(), t.column("digest").to_pylist(), t.column("text")
+        _, part = np.unique(t.column("part").to_pylist(), return_inverse=True)
         sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint8).reshape(len(mine), -1)
-        a, b = [], []
         rows, cols = np.flatnonzero(mine == i), np.flatnonzero(mine == j)
-        for r in rows:
-            c = cols[(part[cols] != part[r]) & ((digest[cols] > digest[r]) if i == j else True)]
-            c = c[estimate(sig[r], sig[c]) >= low]
-            a += [digest[r]] * len(c)
-            b += digest[c].tolist()
-        x, y = np.array(a, dtype=object), np.array(b, dtype=object)
-        return pa.table({"a": pa.array(np.minimum(x, y) if len(x) else [], pa.string()), "b": pa.array(np.maximum(x, y) if len(x) else [], pa.string())})
-
-    return dealt.groupBy("bucket", "i", "j").applyInArrow(run, "a string, b string").distinct()
-
-
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = 85, block: int = 1024) -> DataFrame:
+        may = np.zeros((len(rows), len(cols)), bool)
+        for k, r in enumerate(rows):
+            may[k] = (part[cols] != part[r]) & (estimate(sig[r], sig[cols]) >= low)
+        rows, cols, may = rows[may.any(axis=1)], cols[may.any(axis=0)], may[np.ix_(may.any(axis=1), may.any(axis=0))]
+        a, b = [], []
+        if len(rows):
+            sets = dict(zip(need := sorted({*rows.tolist(), *cols.tolist()}), shingle_sets([text[k].as_py().encode("utf-8", "surrogatepass") for k in need]), strict=True))
+            x, y = [sets[k] for k in rows], [sets[k] for k in cols]
+            both = common(x, y)
+            size = np.array([len(s) for s in x])[:, None] + np.array([len(s) for s in y])[None, :] - both
+            ra, cb = forest(may & (100 * both >= percent * size), rows, cols)
+            for at, to in (*zip(rows.tolist(), ra.tolist(), strict=True), *zip(cols.tolist(), cb.tolist(), strict=True)):
+                if at != to:
+                    a.append(digest[at])
+                    b.append(digest[to])
+        return pa.table({"a": pa.array(a, pa.string()), "b": pa.array(b, pa.string())})
+
+    return dealt.join(texts, "digest").groupBy("bucket", "i", "j").applyInArrow(run, "a string, b string")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = 85, block: int = 512) -> DataFrame:
     """(id, n_shingles, component_id, kept) for each row; links need 100 * intersection >= percent * union."""
     rows = settle(signatures(docs, id_col, text))
     full = rows.where(F.col("sig").isNotNull() & F.col("id").isNotNull())
@@ -184,14 +221,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     hubs = ranked.groupBy("bucket").agg(F.max(F.struct("degree", "digest", "sig")).alias("hub")).select("bucket", F.col("hub.digest").alias("hub"), F.col("hub.sig").alias("hub_sig"))
     tried = members.join(hubs, "bucket").where("digest != hub").select("digest", "hub", "sig", "hub_sig").dropDuplicates(["digest", "hub"])
     close = _estimated(tried, floor_of(percent / 100))
-    links = settle(confirm(close, docs, text, percent))
+    texts = texts_by_digest(docs, members.select("digest").distinct(), text)
+    links = settle(confirm(close, texts, percent))
     comp = connected_components(links, "a", "b")
     part = F.coalesce("component", "digest")
     placed = members.join(comp.withColumnRenamed("node", "digest"), "digest", "left").select("bucket", "digest", "sig", part.alias("part"))
     several = placed.groupBy("bucket").agg(F.min("part").alias("p"), F.max("part").alias("q"), F.count(F.lit(1)).alias("m"))
     # A bucket of two has been compared in full already.
     mixed = placed.join(several.where("p != q and m > 2").select("bucket"), "bucket", "left_semi")
-    more = settle(confirm(settle(_across(mixed, percent, block)), docs, text, percent))
+    more = settle(_across(mixed, texts, percent, block))
     if not more.isEmpty():
         links = links.union(more)
         comp = connected_components(links, "a", "b")
