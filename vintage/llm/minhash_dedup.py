@@ -223,7 +223,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     close = _estimated(tried, floor_of(percent / 100))
     texts = texts_by_digest(docs, members.select("digest").distinct(), text)
     links = settle(confirm(close, texts, percent))
-    comp = connected_components(links, "a", "b")
+    comp = connected_components(links, "a", "b", contract=True)
     part = F.coalesce("component", "digest")
     placed = members.join(comp.withColumnRenamed("node", "digest"), "digest", "left").select("bucket", "digest", "sig", part.alias("part"))
     several = placed.groupBy("bucket").agg(F.min("part").alias("p"), F.max("part").alias("q"), F.count(F.lit(1)).alias("m"))
@@ -232,7 +232,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     more = settle(_across(mixed, texts, percent, block))
     if not more.isEmpty():
         links = links.union(more)
-        comp = connected_components(links, "a", "b")
+        comp = connected_components(links, "a", "b", contract=True)
     least = reps.join(comp.withColumnRenamed("node", "digest"), "digest", "left").select("digest", "rep", part.alias("part"))
     heads = least.groupBy("part").agg(F.min("rep").alias("component_id"))
     classes = least.join(heads, "part").select("digest", "component_id")
@@ -251,4 +251,4 @@ def _estimated(pairs: DataFrame, low: float) -> DataFrame:
             fine = pa.array(estimate(x, y) >= low)
             yield pa.RecordBatch.from_arrays([b.column("digest"), b.column("hub")], ["a", "b"]).filter(fine)
 
-    return settle(pairs.mapInArrow(run, "a string, b string"))
+    return pairs.mapInArrow(run, "a string, b string")
