@@ -89,7 +89,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector: str = "e
     reps = settle(good.groupBy("v").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("copies")))
     tiles = _tiles(reps.withColumn("dim", size), tile_rows, pivots, sample_rows, threshold)
     found = settle(_products(tiles, threshold, pivots))
-    comp = connected_components(found.select("rep", "edge"), "rep", "edge")
+    comp = connected_components(found.select("rep", "edge"), "rep", "edge", contract=True)
     more = found.groupBy("rep").agg(F.sum("links").alias("links"))
     per_rep = (
         reps.join(more, "rep", "left").join(comp.withColumnRenamed("node", "rep"), "rep", "left")

@@ -99,4 +99,32 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op6_best_fit_packing, op7_edit_aware_counts, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
 
-ORACLE_SQL: dict[str, str] = {}
+_REST = "CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END"
+_RULES = [("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "block"), ("example.net", "/de/8", "block"), ("org", "/es/", "block")]
+_RULE_ROWS = ", ".join(f"('{h}', '{p}', '{d}')" for h, p, d in _RULES)
+_KEY = r"""CASE WHEN instr({0}, '://') > 0 THEN
+ translate(regexp_replace(regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '^([^/?]*)', 1), ':(80|443)$', ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')
+ || regexp_replace(regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '^[^/?]*([^?]*)', 1), '/+$', '')
+ || CASE WHEN trim(regexp_replace('&' || regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '\?(.*)$', 1), '&(utm_[a-z]+|ref|gclid|fbclid)=[^&]*', '', 'g'), '&') != ''
+ THEN '?' || trim(regexp_replace('&' || regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '\?(.*)$', 1), '&(utm_[a-z]+|ref|gclid|fbclid)=[^&]*', '', 'g'), '&') ELSE '' END END"""
+_LINK = r"""regexp_extract(regexp_extract(html, '(?i)<link\b[^>]*\brel\s*=\s*["'']?canonical\b[^>]*>', 0), '(?i)\bhref\s*=\s*["'']?([^"''\s>]+)', 1)"""
+_MOVED = r"""regexp_extract(regexp_extract(html, '(?i)<meta\b[^>]*\bhttp-equiv\s*=\s*["'']?refresh\b[^>]*>', 0), '(?i)\burl\s*=\s*["'']?([^"''\s>]+)', 1)"""
+_ESCAPED = "replace({0}, chr(92), chr(92) || chr(92))"
+for _c in ("<|", "</s>", "<s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>"):
+    _ESCAPED = f"replace({_ESCAPED}, '{_c}', '{_c[0]}' || chr(92) || '{_c[1:]}')"
+
+ORACLE_SQL: dict[str, str] = {
+    "op2_url_filter": f"""WITH RECURSIVE parts AS (SELECT page_id, {_KEY.format('url')} AS k, CASE WHEN contains({_LINK}, '://') THEN {_LINK} WHEN contains({_MOVED}, '://') THEN {_MOVED} END AS target,
+ translate(regexp_extract({_REST}, '^([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract({_REST}, '^[^/?#]*([^?#]*)', 1) AS path FROM pages),
+ rules(h, p, d) AS (VALUES {_RULE_ROWS}),
+ fits AS (SELECT page_id, h || p AS rule, d, row_number() OVER (PARTITION BY page_id ORDER BY length(h || p) DESC, h || p) AS r FROM (SELECT DISTINCT page_id, host, path FROM parts) JOIN rules ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p)),
+ edges AS (SELECT k AS a, {_KEY.format('target')} AS b FROM parts WHERE target IS NOT NULL AND k IS NOT NULL), pairs AS (SELECT a, b FROM edges UNION SELECT b, a FROM edges),
+ reach(a, b) AS (SELECT a, b FROM pairs UNION SELECT r.a, e.b FROM reach r JOIN pairs e ON e.a = r.b), comp AS (SELECT a AS k, least(a, min(b)) AS c FROM reach GROUP BY a),
+ judged AS (SELECT q.page_id, host, path, rule, d, coalesce(c, q.k) AS c FROM parts q LEFT JOIN fits f ON f.page_id = q.page_id AND r = 1 LEFT JOIN comp ON comp.k = q.k),
+ ends AS (SELECT c, d, row_number() OVER (PARTITION BY comp.k ORDER BY length(h || p) DESC, h || p) AS r FROM comp JOIN rules ON (regexp_extract(comp.k, '^([^/?#]*)', 1) = h OR ends_with(regexp_extract(comp.k, '^([^/?#]*)', 1), '.' || h)) AND starts_with(regexp_extract(comp.k, '^[^/?#]*([^?#]*)', 1), p)),
+ votes AS (SELECT c, bool_or(d = 'allow') AS allowed, bool_or(d = 'block') AS blocked FROM (SELECT c, d FROM judged WHERE d IS NOT NULL UNION ALL SELECT c, d FROM ends WHERE r = 1) GROUP BY c)
+ SELECT page_id, host, path, rule, coalesce(d, CASE WHEN allowed THEN 'allow' WHEN blocked THEN 'block' ELSE 'allow' END) AS verdict FROM judged j LEFT JOIN votes v ON v.c = j.c""",
+    "op4_chat_format": f"""WITH rows AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]')
+ SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, md5(text))) AS turns_sha256, CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+ sha256(coalesce(string_agg(text, '' ORDER BY turn, role, md5(text)) FILTER (role = 'assistant'), '')) AS loss_sha256, CAST(sum({len('<|turn|>') + 1 + len('<|end|>') + 1} + length(replace({_ESCAPED.format('role')}, chr(10), chr(92) || chr(10))) + length({_ESCAPED.format('text')})) AS BIGINT) AS formatted_chars FROM rows GROUP BY 1""",
+}
