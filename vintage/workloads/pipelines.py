@@ -55,7 +55,7 @@ def content_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What the content filter drops, beside the labels."""
     flagged = corpora.content_filter(_docs(spark, sf_dir), UNWANTED).select("doc_id", F.coalesce("reason", F.lit("kept")).alias("reason"))
     met = flagged.join(table(spark, sf_dir, "labels", "doc_id", "quality", "toxic"), "doc_id", "left")
-    return met.groupBy("reason", "toxic").agg(F.count(F.lit(1)).alias("documents"))
+    return met.groupBy("reason", F.col("toxic").cast("double").alias("toxic")).agg(F.count(F.lit(1)).alias("documents"))
 
 
 def mixture_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -168,7 +168,7 @@ ORACLE_SQL = {
     "dedup_paras": f"WITH {_PARAS} SELECT doc_id, md5(text) AS digest, kept, dropped FROM left_texts",
     "exclude_hosts": f"SELECT page_id, {_HOST} AS host FROM pages WHERE NOT {_UNDER('example.org')}",
     "from_domain": f"SELECT page_id FROM pages WHERE {_UNDER('example.net')}",
-    "content_filter": f"""WITH flagged AS (SELECT doc_id, CASE WHEN list_has_any(list_transform({_TOKS('text')}, lambda w: regexp_replace(w, '[^a-z]', '', 'g')), [{_WORDS}]) THEN 'words' WHEN regexp_matches(lower(text), 'lorem ipsum|terms of use|cookie policy|privacy policy|javascript must be enabled') THEN 'boilerplate' WHEN contains(text, '{{') OR contains(text, '}};') THEN 'code' ELSE 'kept' END AS reason FROM documents) SELECT reason, toxic, count(*) AS documents FROM flagged LEFT JOIN labels USING (doc_id) GROUP BY 1, 2""",
+    "content_filter": f"""WITH flagged AS (SELECT doc_id, CASE WHEN list_has_any(list_transform({_TOKS('text')}, lambda w: regexp_replace(w, '[^a-z]', '', 'g')), [{_WORDS}]) THEN 'words' WHEN regexp_matches(lower(text), 'lorem ipsum|terms of use|cookie policy|privacy policy|javascript must be enabled') THEN 'boilerplate' WHEN contains(text, '{{') OR contains(text, '}};') THEN 'code' ELSE 'kept' END AS reason FROM documents) SELECT reason, CAST(toxic AS DOUBLE) AS toxic, count(*) AS documents FROM flagged LEFT JOIN labels USING (doc_id) GROUP BY 1, 2""",
     "mixture_stats": f"WITH m AS (SELECT CASE WHEN source = 'src0' THEN 'dump' ELSE 'crawl' END AS subcorpus, CASE WHEN source = 'src0' THEN 3 ELSE 1 END AS weight, {_TOKS('text')} AS toks FROM documents UNION ALL SELECT 'static', 1, {_TOKS('text')} FROM benchmark) SELECT subcorpus, count(*) AS documents, CAST(sum(len(toks)) AS BIGINT) AS words, CAST(sum(len(toks) * weight) AS BIGINT) AS weighted FROM m GROUP BY 1",
     "public_sample": f"SELECT doc_id FROM documents WHERE {_CLASS(100)} < 12",
     "crawl_chunks": f"SELECT {_CLASS(367)} AS chunk, count(*) AS documents FROM documents WHERE {_CLASS(367)} < 22 GROUP BY 1",

@@ -88,7 +88,8 @@ def ev_effective_cutoffs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every model's effective cutoff, its width, the date stated and the gap."""
     curve = stored(_curve(spark, sf_dir, list(s.MIXES)))
     cards = compare.cards(spark, s.STATED)
-    return compare.gap(curves.effective_cutoff(curve), cards).join(curves.sharpness(curve), "model")
+    out = compare.gap(curves.effective_cutoff(curve), cards).join(curves.sharpness(curve), "model")
+    return out.withColumns({c: F.col(c).cast("double") for c in ("stated", "gap")})
 
 
 def ev_cutoff_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -230,7 +231,7 @@ ORACLE_SQL = {
     "ev_curve_multidump": f"{_sql(['multidump_early', 'multidump_mid', 'multidump_late'])} {_CURVE}",
     "ev_curve_order3": f"{_sql(['multidump_mid'], 3)} {_CURVE}",
     "ev_curve_pruned": f"{_sql(['curated'])} {_CURVE}",
-    "ev_effective_cutoffs": f"{_sql(list(s.MIXES))}, {s.SQL_ARGMIN}, cards AS ({_STATED}) SELECT a.model, a.cutoff, stated, a.cutoff - stated AS gap, width FROM argmins a JOIN cards c ON c.model = a.model JOIN (SELECT model, count(*) FILTER (rel <= 0.05) AS width FROM curve GROUP BY 1) w ON w.model = a.model",
+    "ev_effective_cutoffs": f"{_sql(list(s.MIXES))}, {s.SQL_ARGMIN}, cards AS ({_STATED}) SELECT a.model, a.cutoff, CAST(stated AS DOUBLE) AS stated, CAST(a.cutoff - stated AS DOUBLE) AS gap, width FROM argmins a JOIN cards c ON c.model = a.model JOIN (SELECT model, count(*) FILTER (rel <= 0.05) AS width FROM curve GROUP BY 1) w ON w.model = a.model",
     "ev_cutoff_spread": f"{_sql(['curated', 'webonly'])}, shares AS (SELECT *, exp(-rel / 0.05) / sum(exp(-rel / 0.05)) OVER (PARTITION BY model) AS weight FROM curve) SELECT model, string_agg(CASE WHEN rel <= 0.05 THEN CAST(month_ix AS VARCHAR) END, ',' ORDER BY month_ix) AS months, round(max(weight), 4) AS top_weight, round(sum(weight), 4) AS total FROM shares GROUP BY 1",
     "ev_single_topic": f"{_sql(['curated'])} SELECT model, topic_id, month_ix, round(ppl, 4) AS ppl FROM ppl WHERE topic_id = (SELECT min(topic_id) FROM topics)",
     "ev_absolute": f"{_sql(['curated', 'webonly'])} SELECT model, month_ix, round(avg(ppl), 4) AS ppl, count(*) AS n FROM ppl GROUP BY 1, 2",
