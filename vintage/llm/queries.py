@@ -113,7 +113,17 @@ _ESCAPED = "replace({0}, chr(92), chr(92) || chr(92))"
 for _c in ("<|", "</s>", "<s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>"):
     _ESCAPED = f"replace({_ESCAPED}, '{_c}', '{_c[0]}' || chr(92) || '{_c[1:]}')"
 
+_CLASSES = """sides AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links), reach(a, b) AS (SELECT a, b FROM sides UNION SELECT r.a, e.b FROM reach r JOIN sides e ON e.a = r.b), least AS (SELECT a, least(a, min(b)) AS c FROM reach GROUP BY a)"""
+
 ORACLE_SQL: dict[str, str] = {
+    "op1_embedding_near_dedup": f"""WITH RECURSIVE good AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x != 0)) > 0),
+ normed AS (SELECT vec_id, e, sqrt(list_dot_product(e, e)) AS n FROM good), links AS (SELECT x.vec_id AS a, y.vec_id AS b FROM normed x JOIN normed y ON x.vec_id < y.vec_id AND len(x.e) = len(y.e) AND list_dot_product(x.e, y.e) / (x.n * y.n) >= 0.9), {_CLASSES}
+ SELECT vec_id, coalesce(m, 0) AS n_links, coalesce(c, vec_id) AS component_id, vec_id = coalesce(c, vec_id) AS kept FROM embeddings LEFT JOIN (SELECT a, count(*) AS m FROM sides GROUP BY a) s ON s.a = vec_id LEFT JOIN least ON least.a = vec_id""",
+    "op8_minhash_near_dedup": rf"""WITH RECURSIVE words AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+ sets AS (SELECT doc_id, CASE WHEN len(w) >= 5 THEN list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END AS g FROM words),
+ grams AS (SELECT doc_id, len(g) AS n, unnest(g) AS g FROM sets), pairs AS (SELECT x.doc_id AS a, y.doc_id AS b, x.n AS na, y.n AS nb, count(*) AS i FROM grams x JOIN grams y ON x.g = y.g AND x.doc_id < y.doc_id GROUP BY ALL),
+ links AS (SELECT a, b FROM pairs WHERE 100 * i >= 85 * (na + nb - i)), {_CLASSES}
+ SELECT doc_id, CAST(len(g) AS BIGINT) AS n_shingles, coalesce(c, doc_id) AS component_id, doc_id = coalesce(c, doc_id) AS kept FROM sets LEFT JOIN least ON least.a = doc_id""",
     "op2_url_filter": f"""WITH RECURSIVE parts AS (SELECT page_id, {_KEY.format('url')} AS k, CASE WHEN contains({_LINK}, '://') THEN {_LINK} WHEN contains({_MOVED}, '://') THEN {_MOVED} END AS target,
  translate(regexp_extract({_REST}, '^([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract({_REST}, '^[^/?#]*([^?#]*)', 1) AS path FROM pages),
  rules(h, p, d) AS (VALUES {_RULE_ROWS}),
