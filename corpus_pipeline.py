@@ -27,11 +27,11 @@ def toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates: the one with the least id.
+    """One document of each group of near-duplicates (word shingles alike to 0.8 or more): the one with the least id.
 
     Rows that repeat an id stay as they are if that id is kept.
     """
-    classes = minhash_dedup.near_duplicates(docs.select("doc_id", "text"))
+    classes = minhash_dedup.near_duplicates(docs.select("doc_id", "text"), percent=80)
     gone = classes.where("not kept").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 

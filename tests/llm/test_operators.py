@@ -317,3 +317,31 @@ def test_pipeline_stage_by_stage(spark, sf):
             assert now == {i for i, (_, c) in brute([(i, all_rows[i].text) for i in kept]).items() if i == c}
         kept = now
         docs = spark.createDataFrame(rows, docs.schema)
+
+
+def test_pipeline_joins_copies_that_are_four_fifths_alike(spark):
+    import corpus_pipeline as p
+
+    words = [f"w{k}" for k in range(200)]
+    copy = [f"x{k}" if k in (20, 70, 120, 170) else w for k, w in enumerate(words)]  # 176 of 216 shingles
+    far = [f"y{k}" if k in (20, 60, 100, 140, 180) else w for k, w in enumerate(words)]  # 171 of 221: stays
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(copy)), (3, " ".join(far))], "doc_id long, text string")
+    assert {r.doc_id for r in p.near_dedup(spark, docs, "").collect()} == {1, 3}
+
+
+def test_near_dedup_stage_against_brute_force_at_80(spark, sf):
+    import corpus_pipeline as p
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    sets = {}
+    for r in docs.collect():
+        w = WORD.findall("".join(c.lower() if "A" <= c <= "Z" else c for c in r.text or ""))
+        sets[r.doc_id] = {tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set()
+    part = {k: k for k in sets}
+    for a in sorted(sets):
+        for b in sorted(sets):
+            both = len(sets[a] & sets[b])
+            if a < b and both and 100 * both >= 80 * (len(sets[a]) + len(sets[b]) - both) and part[a] != part[b]:
+                low, high = sorted((part[a], part[b]))
+                part = {k: low if c == high else c for k, c in part.items()}
+    assert {r.doc_id for r in p.near_dedup(spark, docs, sf).collect()} == {k for k, c in part.items() if k == c}
