@@ -218,3 +218,28 @@ def test_folding(spark):
     t = F.col("t")
     assert [tuple(r) for r in df.select(fold(t), canonical(t), tokens(t)).collect()] == [("es  n\n x ", "es n x", ["es", "n", "x"]), ("", "", []), (None, None, []), ("日本", "日本", ["日本"])]
     assert df.limit(1).select(sentences(F.lit("A b. C! D? e"))).first()[0] == ["A b.", "C!", "D?", "e"]
+
+
+def test_fuzzy_links_past_a_head_and_short_texts(spark):
+    import random
+
+    rng = random.Random(4)
+    base = [f"w{k}" for k in range(120)]
+
+    def edited(n):
+        out = list(base)
+        for k in rng.sample(range(120), n):
+            out[k] = f"x{rng.randint(0, 10**6)}"
+        return out
+
+    one = edited(12)
+    texts = [" ".join(edited(6)) for _ in range(40)] + [" ".join(one), " ".join([*one[:60], "y", *one[61:]]), "two words", "Two  words", "", ""]
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set() for w in (t.lower().split() for t in texts)]
+    part = list(range(len(texts)))
+    for a in range(len(texts)):
+        for b in range(a):
+            if sets[a] and sets[b] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                low, high = sorted((part[a], part[b]))
+                part = [low if c == high else c for c in part]
+    got = {r.doc_id: r.component for r in corpora.dedup_fuzzy(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert got == dict(enumerate(part)) and got[43] == 42 and got[41] == 40 and got[45] == 45

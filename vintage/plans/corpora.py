@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, Observation, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.text import canonical, sentences, shingles, tokens
-from ..sources.tables import host_of, is_under, stored
+from ..functions.text import canonical, sentences, tokens
+from ..sources.tables import host_of, is_under
 from .audit import span_rows
 
 
@@ -53,52 +53,17 @@ def _without(docs: DataFrame, gone: DataFrame, parts: Column, glue: str) -> Data
     return met.select("doc_id", F.array_join(left, glue).alias("text"), F.size(left).alias("kept"), (F.size("_parts") - F.size(left)).alias("dropped"))
 
 
-def minhash_bands(docs: DataFrame, bands: int, rows: int, n: int = 5) -> DataFrame:
-    """(doc_id, band, key): band keys of native min-hashes over shingles of n words.
+def dedup_fuzzy(docs: DataFrame, jaccard: float = 0.8) -> DataFrame:
+    """(doc_id, component): documents joined where the similarity of their shingles of five words is confirmed.
 
-    A document's shingles lie in one task, so the minima are taken there, in
-    generated code, and one row a document is shuffled.
+    Operator 8 at another threshold, on canonical words: a band's members are
+    compared with one of them, and members of bands that this leaves in several
+    components with each other. Fewer than five words are one shingle.
     """
-    grams = docs.select("doc_id", F.explode(shingles(tokens(F.col("text")), n)).alias("g")).select("doc_id", F.xxhash64("g").alias("h"))
-    least = grams.groupBy("doc_id").agg(*(F.min(F.xxhash64("h", F.lit(k))).alias(f"m{k}") for k in range(bands * rows)))
-    keys = F.array(*(F.xxhash64(*(f"m{k * rows + r}" for r in range(rows))) for k in range(bands)))
-    return least.select("doc_id", F.posexplode(keys).alias("band", "key"))
+    from ..llm.minhash_dedup import near_duplicates
 
-
-def dedup_fuzzy(docs: DataFrame, bands: int = 16, rows: int = 4, jaccard: float = 0.8) -> DataFrame:
-    """(doc_id, component): documents joined where the similarity to their band's first document is confirmed.
-
-    A band's members are compared with its least id, never with each other, so a
-    band of any size costs one comparison a member.
-    """
-    hit = minhash_bands(docs, bands, rows)
-    heads = hit.groupBy("band", "key").agg(F.min("doc_id").alias("head"), F.count(F.lit(1)).alias("m")).where("m > 1").select("band", "key", "head")
-    pairs = hit.join(heads, ["band", "key"]).where("doc_id != head").select("doc_id", "head").distinct()
-    sets = docs.select("doc_id", shingles(tokens(F.col("text")), 5).alias("grams"))
-    met = pairs.join(sets, "doc_id").join(sets.select(F.col("doc_id").alias("head"), F.col("grams").alias("hg")), "head")
-    both = F.size(F.array_intersect("grams", "hg"))
-    links = met.where(both / (F.size("grams") + F.size("hg") - both) >= jaccard).select("doc_id", "head")
-    comp = components(links, "doc_id", "head")
-    return docs.select("doc_id").join(comp, "doc_id", "left").select("doc_id", F.coalesce("component", "doc_id").alias("component"))
-
-
-def components(links: DataFrame, a: str, b: str, rounds: int = 50) -> DataFrame:
-    """(a, component): least id reachable, by labels that jump to their label's label each round."""
-    e = stored(links.select(F.col(a).alias("x"), F.col(b).alias("y")).union(links.select(b, a)).distinct())
-    now = e.groupBy("x").agg(F.min("y").alias("l")).select("x", F.least("x", "l").alias("l"))
-    last = None
-    for _ in range(rounds):
-        seen = Observation()
-        now = stored(now.observe(seen, F.sum("l").alias("total")))
-        total = seen.get["total"]
-        if total == last:
-            return now.select(F.col("x").alias(a), F.col("l").alias("component"))
-        last = total
-        near = e.join(now.select(F.col("x").alias("y"), F.col("l").alias("ly")), "y").groupBy("x").agg(F.min("ly").alias("ln"))
-        step = now.join(near, "x").select("x", F.least("l", "ln").alias("l"))
-        jump = step.select(F.col("x").alias("l"), F.col("l").alias("ll"))
-        now = step.join(jump, "l", "left").select("x", F.least("l", F.coalesce("ll", "l")).alias("l"))
-    raise RuntimeError("labels did not settle")
+    words = docs.select("doc_id", F.array_join(tokens(F.col("text")), " ").alias("text"))
+    return near_duplicates(words, percent=round(100 * jaccard)).select("doc_id", F.col("component_id").alias("component"))
 
 
 def exclude_hosts(pages: DataFrame, suffixes: list[str], url: str = "url") -> DataFrame:
