@@ -243,3 +243,13 @@ def test_fuzzy_links_past_a_head_and_short_texts(spark):
                 part = [low if c == high else c for c in part]
     got = {r.doc_id: r.component for r in corpora.dedup_fuzzy(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
     assert got == dict(enumerate(part)) and got[43] == 42 and got[41] == 40 and got[45] == 45
+
+
+def test_leak_of_runs_that_several_pages_hold(spark):
+    words = [f"w{k}" for k in range(12)]
+    other = [*(f"v{k}" for k in range(4)), *words[:8]]
+    rows = [(1, "in", words), (2, "in", words), (3, "in", other), (4, "out", words), (5, "out", words[:8]), (6, "out", ["z"] * 12)]
+    pages = spark.createDataFrame(rows, "page_id long, host string, toks array<string>")
+    got = audit.leak_through(pages, F.col("host") == "in", pages.where("host = 'in'"))
+    # Pages 1 and 2 are one text; the run w0-w7 stands on it and on page 3.
+    assert {r.page_id: (r.runs, r.sources, r.weight) for r in got.collect()} == {4: (5, 2, 4.5), 5: (1, 2, 0.5)}

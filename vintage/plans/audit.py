@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import sentences
+from ..sources.tables import stored
 
 
 def share_older(hist: DataFrame, dump_month: int, by: list[str] | None = None) -> DataFrame:
@@ -60,16 +61,28 @@ def exact_groups(corpus: DataFrame) -> DataFrame:
 
 
 def leak_through(pages: DataFrame, excluded: Column, probes: DataFrame, n: int = 8) -> DataFrame:
-    """Pages outside an excluded domain that hold a run of n words of its pages: (page_id, runs, sources).
-
-    ``pages``: (page_id, host, toks); ``probes``: (page_id, toks) of the domain.
-    Runs common to many pages say nothing and are left out by counting: a run
-    must stand on one page of the domain only.
+    """Pages outside an excluded domain that hold a run of n words of its pages: (page_id, runs, sources, weight).
+
+    ``pages``: (page_id, host, toks); ``probes``: (page_id, toks) of the domain,
+    where equal texts count as one source. No run is left out: ``runs`` counts
+    those a page shares with the domain, ``sources`` the texts it shares one with,
+    and ``weight`` adds one over the number of sources for each run, so that runs
+    common to many pages say little. Runs that stand on the same sources, and pages
+    that meet the same such sets, are each resolved to sources once.
     """
     def runs(df: DataFrame, name: str) -> DataFrame:
         r = F.transform(F.sequence(F.lit(1), F.size("toks") - n + 1), lambda i: F.array_join(F.slice("toks", i, n), " "))
         return df.where(F.size("toks") >= n).select(F.col("page_id").alias(name), F.explode(F.array_distinct(r)).alias("run"))
 
-    own = runs(probes, "source").groupBy("run").agg(F.min("source").alias("source"), F.count(F.lit(1)).alias("m")).where("m = 1")
-    met = runs(pages.where(~excluded), "page_id").join(own, "run")
-    return met.groupBy("page_id").agg(F.count(F.lit(1)).alias("runs"), F.countDistinct("source").alias("sources"))
+    def digest(ids: Column) -> Column:
+        return F.sha2(F.array_join(ids.cast("array<string>"), ","), 256)
+
+    texts = probes.groupBy(F.sha2(F.array_join("toks", " "), 256)).agg(F.min("page_id").alias("page_id"), F.first("toks").alias("toks"))
+    own = stored(runs(texts, "source").groupBy("run").agg(F.array_sort(F.collect_list("source")).alias("ids")).withColumn("set", digest(F.col("ids"))))
+    sets = own.groupBy("set").agg(F.first("ids").alias("ids"))
+    met = runs(pages.where(~excluded), "page_id").join(own.select("run", "set", F.size("ids").alias("m")), "run")
+    per = met.groupBy("page_id").agg(F.count(F.lit(1)).alias("runs"), F.sum(1 / F.col("m")).alias("weight"), F.array_sort(F.collect_set("set")).alias("met"))
+    per = stored(per.withColumn("mix", digest(F.col("met"))))
+    mixes = per.groupBy("mix").agg(F.first("met").alias("met")).select("mix", F.explode("met").alias("set"))
+    sources = mixes.join(sets, "set").select("mix", F.explode("ids").alias("source")).groupBy("mix").agg(F.countDistinct("source").alias("sources"))
+    return per.join(sources, "mix").select("page_id", "runs", "sources", F.round("weight", 6).alias("weight"))
