@@ -345,3 +345,20 @@ def test_near_dedup_stage_against_brute_force_at_80(spark, sf):
                 low, high = sorted((part[a], part[b]))
                 part = {k: low if c == high else c for k, c in part.items()}
     assert {r.doc_id for r in p.near_dedup(spark, docs, sf).collect()} == {k for k, c in part.items() if k == c}
+
+
+def test_relative_targets_both_tags_and_slashes_of_targets(spark):
+    from pyspark.sql import functions as F
+
+    from vintage.llm.url_filter import resolved
+
+    link, moved = '<link rel="canonical" href="{}">', '<meta http-equiv="refresh" content="0;url={}">'
+    rows = [
+        (1, "http://a.net/x/y", link.format("/de/1")), (2, "http://b.net/x", link.format("//shop.com/en/q")), (3, "http://c.net/x", link.format("http://c.net/other") + moved.format("http://d.com/en/z")),
+        (4, "http://e.net/x", link.format("https://a.com/en/")), (5, "http://f.net/x/y", moved.format("../de/9")), (6, "http://g.net/x", link.format("mailto:x@y.com") + moved.format("#top")), (7, "http://h.net/x", link.format("http://k.com:80/en/1")),
+    ]
+    got = {r.page_id: r.verdict for r in filter_urls(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {1: "block", 2: "block", 3: "block", 4: "block", 5: "block", 6: "allow", 7: "block"}
+    want = {"g": "http://a/b/g", "./g": "http://a/b/g", "../g": "http://a/g", "../../../g": "http://a/g", "..": "http://a/", ".": "http://a/b/", "/g": "http://a/g", "//g": "http://g", "?y": "http://a/b/c?y", "g?y/../x": "http://a/b/g?y/../x", "#s": None, "mailto:a": None, "ftp://z/": "ftp://z/"}
+    df = spark.createDataFrame([(t, "http://a/b/c?q#f") for t in want], "t string, u string")
+    assert {r[0]: r[1] for r in df.select("t", resolved(F.col("t"), F.col("u"))).collect()} == want
