@@ -362,3 +362,13 @@ def test_relative_targets_both_tags_and_slashes_of_targets(spark):
     want = {"g": "http://a/b/g", "./g": "http://a/b/g", "../g": "http://a/g", "../../../g": "http://a/g", "..": "http://a/", ".": "http://a/b/", "/g": "http://a/g", "//g": "http://g", "?y": "http://a/b/c?y", "g?y/../x": "http://a/b/g?y/../x", "#s": None, "mailto:a": None, "ftp://z/": "ftp://z/"}
     df = spark.createDataFrame([(t, "http://a/b/c?q#f") for t in want], "t string, u string")
     assert {r[0]: r[1] for r in df.select("t", resolved(F.col("t"), F.col("u"))).collect()} == want
+
+
+def test_long_clause_is_read_from_its_start():
+    from vintage.llm.toxicity import Grammar
+
+    g = Grammar({}, {})
+    far = "you " + "word " * 400 + "kill"
+    assert g.score(far) == pytest.approx(1 - 0.99 * (1 - 0.6))
+    assert g.score("x. " + far + ". kill") == pytest.approx(1 - 0.99 * (1 - 0.6) * (1 - 0.12))
+    assert g.score("said " + "word " * 400 + "you kill") == pytest.approx(1 - 0.99 * (1 - 0.3))

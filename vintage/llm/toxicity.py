@@ -107,12 +107,14 @@ class Grammar:
 
     def score(self, text: str) -> float:
         low = text.lower()
-        miss, done = 0.99, -1
-        for at, size in self._hits(low):
+        miss, done, first = 0.99, -1, 0
+        ends = CLAUSE_END.finditer(low)
+        end = next(ends, None)
+        for at, _ in self._hits(low):
             if at < done:
                 continue
-            first = max((m.end() for m in CLAUSE_END.finditer(low, max(0, at - 600), at)), default=max(0, at - 600))
-            end = CLAUSE_END.search(low, at + size)
+            while end and end.end() <= at:
+                first, end = end.end(), next(ends, None)
             done = end.start() if end else len(low)
             miss *= 1 - self.clause(WORD.findall(low, first, done))
         return 1 - miss
