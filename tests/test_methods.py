@@ -253,3 +253,27 @@ def test_leak_of_runs_that_several_pages_hold(spark):
     got = audit.leak_through(pages, F.col("host") == "in", pages.where("host = 'in'"))
     # Pages 1 and 2 are one text; the run w0-w7 stands on it and on page 3.
     assert {r.page_id: (r.runs, r.sources, r.weight) for r in got.collect()} == {4: (5, 2, 4.5), 5: (1, 2, 0.5)}
+
+
+def test_retrieval_reads_whole_texts(spark, sf):
+    from vintage.workloads import retrieval
+
+    intervals, corpus = retrieval._inputs(spark, sf)
+    words = {r.doc_id: r.toks for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", tokens(F.col("text")).alias("toks")).collect()}
+    rows = corpus.collect()
+    assert {r.doc_id: r.toks for r in rows if r.subcorpus == "background"} == words
+    planted = [((r.doc_id - retrieval.OFFSET) // 100, r.toks) for r in rows if r.subcorpus != "background"]
+    assert any(len(t) > 512 for _, t in planted)
+    assert all(len(t) == len(words[k]) and t[512:] == words[k][512:] for k, t in planted)
+    texts = probes.version_texts(intervals).collect()
+    assert all(len(r.text.split(" ")) == len(words[r.topic_id]) for r in texts)
+
+
+def test_distances_of_long_texts_with_shared_ends(spark):
+    rng = random.Random(5)
+    start, end = ("".join(rng.choice("ab é") for _ in range(3000)) for _ in range(2))
+    pairs = [(start + x + end, start + y + end) for x, y in (("abc", "abd"), ("", "xyz"), ("aaaa", "aa"), ("", ""), ("é", "ée"))] + [("aaa", "aaaa"), ("abcabc", "abcabcabc"), ("kitten" * 9, "sitten" * 9), ("é" * 20, "é" * 22)]
+    rows = [(k, k, 0, 0, a, b) for k, (a, b) in enumerate(pairs)]
+    cands = spark.createDataFrame(rows, "topic_id int, doc_id int, version_from int, version_to int, doc_text string, version_text string")
+    want = {r.doc_id: r.d for r in cands.select("doc_id", near(F.col("doc_text"), F.col("version_text"), 0.4).alias("d")).collect() if r.d is not None}
+    assert {r.doc_id: r.dist for r in mining.edit_match(cands, 0.4).collect()} == want and want[1] == 3

@@ -65,16 +65,25 @@ def limit_of(length: Column, threshold: float, inclusive: bool = False) -> Colum
     return (F.floor(cut) if inclusive else F.ceil(cut) - 1).cast("int")
 
 
-def near(a: Column, b: Column, threshold: float = 0.2, inclusive: bool = False, steps: tuple[int, ...] = (150, 300, 450, 600, 900)) -> Column:
+def common_start(a: Column, b: Column) -> Column:
+    """Number of characters that two texts share at their start, by halving steps."""
+    least = F.least(F.char_length(a), F.char_length(b))
+    steps = F.array(*(F.lit(1 << k) for k in range(27, -1, -1)))
+    return F.aggregate(steps, F.lit(0), lambda n, by: F.when((n + by <= least) & (F.substring(a, n + 1, by) == F.substring(b, n + 1, by)), n + by).otherwise(n))
+
+
+def near(a: Column, b: Column, threshold: float = 0.2, inclusive: bool = False, steps: tuple[int, ...] = (150, 300, 450, 600, 900), within: tuple[Column, Column] | None = None) -> Column:
     """Edit distance of b to a where it is below threshold * length(a), else null.
 
     Cheapest tests first: equal texts, then the length gap, then the built-in
     distance. That one takes a constant bound, so ``steps`` bounds are laid out
-    and each row uses the least that covers its own.
+    and each row uses the least that covers its own. ``within``: a and b without
+    a start and an end that they share, which have the same distance.
     """
+    x, y = within or (a, b)
     most = limit_of(F.char_length(a), threshold, inclusive)
     gap = F.abs(F.char_length(a) - F.char_length(b))
-    d = F.levenshtein(a, b)
+    d = F.levenshtein(x, y)
     for bound in reversed(steps):
-        d = F.when(most <= bound, F.levenshtein(a, b, bound)).otherwise(d)
+        d = F.when(most <= bound, F.levenshtein(x, y, bound)).otherwise(d)
     return F.when(a == b, F.when(most >= 0, F.lit(0))).when(gap <= most, F.when((d >= 0) & (d <= most), d))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.text import near, shingles
+from ..functions.text import common_start, limit_of, near, shingles
 
 K1, B = 1.2, 0.75
 #: Query terms that may be broadcast, in rows; more go the way of the index.
@@ -82,10 +82,19 @@ def edit_match(cands: DataFrame, threshold: float = 0.2, inclusive: bool = False
     """Pairs within the distance: (topic_id, doc_id, version_from, version_to, dist, norm).
 
     Costs differ by a factor of a hundred between pairs, so pairs are dealt out
-    evenly before any distance is taken.
+    evenly before any distance is taken. A shared start and end, most of two
+    versions of one text, are cut off first.
     """
     dealt = cands.repartition("topic_id", "doc_id", "version_from")
-    d = near(F.col("doc_text"), F.col("version_text"), threshold, inclusive)
+    a, b = F.col("doc_text"), F.col("version_text")
+    close = F.abs(F.char_length(a) - F.char_length(b)) <= limit_of(F.char_length(a), threshold, inclusive)
+    dealt = dealt.where(close).withColumn("_start", common_start(a, b))
+    for t in ("doc_text", "version_text"):
+        dealt = dealt.withColumn(f"_{t}", F.reverse(F.substring(t, F.col("_start") + 1, F.char_length(t))))
+    x, y = F.col("_doc_text"), F.col("_version_text")
+    dealt = dealt.withColumn("_end", common_start(x, y))
+    x, y = (F.substring(c, F.col("_end") + 1, F.char_length(c)) for c in (x, y))
+    d = near(a, b, threshold, inclusive, within=(x, y))
     out = dealt.withColumn("dist", d).where("dist is not null")
     return out.select("topic_id", "doc_id", "version_from", "version_to", "dist", (F.col("dist") / F.char_length("doc_text")).alias("norm"))
 

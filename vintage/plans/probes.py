@@ -53,6 +53,13 @@ def evolving_set(documents: DataFrame, edits: DataFrame, chosen: DataFrame, n_to
     return states.withColumn("valid_to", until).where("valid_from <= valid_to").select("topic_id", "pos", "token", "valid_from", "valid_to")
 
 
+def with_tails(intervals: DataFrame, documents: DataFrame, chosen: DataFrame, n_tokens: int = 512) -> DataFrame:
+    """The intervals with the words behind the first ``n_tokens``, which no edit reaches: whole versions."""
+    long = documents.join(chosen.select(F.col("topic_id").alias("doc_id")), "doc_id").select(F.col("doc_id").alias("topic_id"), tokens(F.col("text")).alias("toks")).where(F.size("toks") > n_tokens)
+    rest = long.select("topic_id", F.posexplode(F.slice("toks", F.lit(n_tokens + 1), F.size("toks"))).alias("pos", "token"))
+    return intervals.union(rest.select("topic_id", F.col("pos") + n_tokens, "token", F.lit(0), F.lit(LAST_MONTH)))
+
+
 def version_intervals(intervals: DataFrame) -> DataFrame:
     """(topic_id, version_from, version_to): spans of months without a change; the month 0 always begins one."""
     starts = intervals.select("topic_id", F.col("valid_from").alias("version_from")).union(intervals.select("topic_id", F.lit(0))).distinct()

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.text import head_tokens
+from ..functions.text import tokens
 from ..functions.timegrid import months
 from ..plans import audit, compare, curves, mining, probes
 from ..sources.tables import stored, table
@@ -18,10 +18,11 @@ OFFSET, CRAWLS = 10_000_000, {16: 40, 24: 40, 28: 75}
 
 
 def _inputs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    """Intervals of the mined topics, and the corpus (doc_id, subcorpus, version_month, toks, text)."""
-    _, intervals = s.topic_intervals(spark, sf_dir, MINED)
-    intervals = stored(intervals)
-    plain = table(spark, sf_dir, "documents", "doc_id", "text").select("doc_id", F.lit("background").alias("subcorpus"), F.lit(None).cast("int").alias("version_month"), head_tokens(F.col("text"), s.TOPIC_TOKENS).alias("toks"))
+    """Intervals of the mined topics' whole versions, and the corpus of whole texts (doc_id, subcorpus, version_month, toks, text)."""
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    chosen, intervals = s.topic_intervals(spark, sf_dir, MINED)
+    intervals = stored(probes.with_tails(intervals, docs, chosen, s.TOPIC_TOKENS))
+    plain = docs.select("doc_id", F.lit("background").alias("subcorpus"), F.lit(None).cast("int").alias("version_month"), tokens(F.col("text")).alias("toks"))
     at = probes.at_months(intervals, sorted(s.MIXES[MIX]))
     planted = at.groupBy("topic_id", "month_ix").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "token"))), lambda x: x["token"]).alias("toks"))
     name = F.when(F.col("month_ix") == DUMP, "direct").otherwise(F.concat(F.lit("crawl"), F.when(F.col("month_ix") <= 24, "40").otherwise("75")))
