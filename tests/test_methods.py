@@ -277,3 +277,13 @@ def test_distances_of_long_texts_with_shared_ends(spark):
     cands = spark.createDataFrame(rows, "topic_id int, doc_id int, version_from int, version_to int, doc_text string, version_text string")
     want = {r.doc_id: r.d for r in cands.select("doc_id", near(F.col("doc_text"), F.col("version_text"), 0.4).alias("d")).collect() if r.d is not None}
     assert {r.doc_id: r.dist for r in mining.edit_match(cands, 0.4).collect()} == want and want[1] == 3
+
+
+def test_all_topics_are_mined(spark, sf):
+    from vintage.workloads import retrieval, setup
+
+    topics = {r.topic_id for r in setup.chosen_topics(spark, sf).collect()}
+    intervals, corpus = retrieval._inputs(spark, sf)
+    assert len(topics) > 60 and {r.topic_id for r in intervals.select("topic_id").distinct().collect()} == topics
+    assert corpus.where("subcorpus = 'direct'").count() == len(topics)
+    assert {r.versions for r in retrieval.static_inclusion(spark, sf).collect()} == {80 * len(topics)}

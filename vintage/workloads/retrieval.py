@@ -11,7 +11,7 @@ from ..plans import audit, compare, curves, mining, probes
 from ..sources.tables import stored, table
 from . import setup as s
 
-#: Most edited topics that are mined; the mix whose versions are planted; its direct dump.
+#: Most edited topics that the SQL mines (the queries mine all); the mix whose versions are planted; its direct dump.
 MINED, MIX, DUMP = 60, "multidump_mid", 72
 #: Planted ids: OFFSET + topic * 100 + month. Months below DUMP came by crawls, two to a dump.
 OFFSET, CRAWLS = 10_000_000, {16: 40, 24: 40, 28: 75}
@@ -20,7 +20,7 @@ OFFSET, CRAWLS = 10_000_000, {16: 40, 24: 40, 28: 75}
 def _inputs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     """Intervals of the mined topics' whole versions, and the corpus of whole texts (doc_id, subcorpus, version_month, toks, text)."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
-    chosen, intervals = s.topic_intervals(spark, sf_dir, MINED)
+    chosen, intervals = s.topic_intervals(spark, sf_dir)
     intervals = stored(probes.with_tails(intervals, docs, chosen, s.TOPIC_TOKENS))
     plain = docs.select("doc_id", F.lit("background").alias("subcorpus"), F.lit(None).cast("int").alias("version_month"), tokens(F.col("text")).alias("toks"))
     at = probes.at_months(intervals, sorted(s.MIXES[MIX]))
@@ -107,7 +107,7 @@ def share_older_than_dump(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def curve_hist_corr(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Relative perplexity falls where the corpus holds many versions."""
-    curve = curves.relative(curves.trimmed_mean(s.topic_perplexity(spark, sf_dir, [MIX], k=MINED)))
+    curve = curves.relative(curves.trimmed_mean(s.topic_perplexity(spark, sf_dir, [MIX])))
     hist = mining.histogram(_by_ngrams(spark, sf_dir)[0], months(spark)).withColumn("model", F.lit(MIX))
     return compare.curve_vs_hist(curve, hist).select("model", F.round("pearson", 4).alias("pearson"), F.round("spearman", 4).alias("spearman"))
 
@@ -128,7 +128,7 @@ def copies_vs_versions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def static_inclusion(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Membership-style baseline: it says that versions are in, not when they stopped coming."""
-    ppl = s.topic_perplexity(spark, sf_dir, [MIX, "webonly"], k=MINED)
+    ppl = s.topic_perplexity(spark, sf_dir, [MIX, "webonly"])
     return mining.static_inclusion(ppl, 100.0)
 
 
