@@ -255,35 +255,138 @@ def test_leak_of_runs_that_several_pages_hold(spark):
     assert {r.page_id: (r.runs, r.sources, r.weight) for r in got.collect()} == {4: (5, 2, 4.5), 5: (1, 2, 0.5)}
 
 
+def packed_of(spark, rows):
+    return spark.createDataFrame(rows, "topic_id long, toks array<string>, tail string, edits array<struct<month:int,pos:int,token:string>>")
+
+
+def history(rng, n, edits, tail=""):
+    """A topic's row, and its texts by (first month, last month), written out the plain way."""
+    words = [f"w{rng.randint(0, 400)}" for _ in range(n)]
+    log = sorted({(rng.randint(0, 79), rng.randrange(n)): f"p{rng.randint(0, 9999)}" for _ in range(edits)}.items())
+    log = [(m, p, t) for (m, p), t in log]
+    starts = sorted({0, *(m for m, _, _ in log)})
+    texts = {}
+    for f, t in zip(starts, [*(x - 1 for x in starts[1:]), 79], strict=True):
+        now = list(words)
+        for m, p, w in log:
+            if m <= f:
+                now[p] = w
+        texts[f, t] = " ".join([*now, tail] if tail else now)
+    return (words, tail, log), texts
+
+
+def test_packed_versions_equal_intervals_and_plain_edits(spark, sf):
+    from vintage.sources.tables import table
+    from vintage.workloads import setup
+
+    docs, edits, chosen = table(spark, sf, "documents", "doc_id", "text"), setup.edits(spark, sf), setup.chosen_topics(spark, sf)
+    heads = probes.whole_versions(probes.packed_set(docs, edits, chosen).withColumn("tail", F.lit("")))
+    plain = probes.version_texts(probes.evolving_set(docs, edits, chosen))
+    assert heads.exceptAll(plain).count() == plain.exceptAll(heads).count() == 0
+    row, texts = history(random.Random(6), 30, 40, "and more")
+    got = {(r.version_from, r.version_to): r.text for r in probes.whole_versions(packed_of(spark, [(1, *row)])).collect()}
+    assert got == texts
+
+
 def test_retrieval_reads_whole_texts(spark, sf):
     from vintage.workloads import retrieval
 
-    intervals, corpus = retrieval._inputs(spark, sf)
+    packed = retrieval._topics(spark, sf)
     words = {r.doc_id: r.toks for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", tokens(F.col("text")).alias("toks")).collect()}
-    rows = corpus.collect()
+    rows = retrieval._corpus(spark, sf, packed).collect()
     assert {r.doc_id: r.toks for r in rows if r.subcorpus == "background"} == words
     planted = [((r.doc_id - retrieval.OFFSET) // 100, r.toks) for r in rows if r.subcorpus != "background"]
     assert any(len(t) > 512 for _, t in planted)
     assert all(len(t) == len(words[k]) and t[512:] == words[k][512:] for k, t in planted)
-    texts = probes.version_texts(intervals).collect()
+    texts = probes.whole_versions(packed).collect()
     assert all(len(r.text.split(" ")) == len(words[r.topic_id]) for r in texts)
 
 
-def test_distances_of_long_texts_with_shared_ends(spark):
+def test_bounded_distance_equals_plain_table():
+    from vintage.functions.distance import bounded
+
+    rng = random.Random(8)
+    for _ in range(1500):
+        a = [rng.choice("abc é") for _ in range(rng.randint(0, 40))]
+        b = list(a)
+        for _ in range(rng.randint(0, 12)):
+            k = rng.randint(0, len(b))
+            b[k : k + rng.randint(0, 1)] = [rng.choice("abcd")] * rng.randint(0, 1)
+        if rng.random() < 0.3:
+            b = [rng.choice("abc é") for _ in range(rng.randint(0, 40))]
+        a, b, most = "".join(a), "".join(b), rng.randint(0, 25)
+        d = lev(a, b)
+        assert bounded(a, b, most, rng.choice([1, 2, 64])) == (d if d <= most else None)
+
+
+def test_edit_matches_equal_all_distances(spark):
+    """Every hit against every version, the plain way: also where the widened first bound or neighbours decide."""
     rng = random.Random(5)
-    start, end = ("".join(rng.choice("ab é") for _ in range(3000)) for _ in range(2))
-    pairs = [(start + x + end, start + y + end) for x, y in (("abc", "abd"), ("", "xyz"), ("aaaa", "aa"), ("", ""), ("é", "ée"))] + [("aaa", "aaaa"), ("abcabc", "abcabcabc"), ("kitten" * 9, "sitten" * 9), ("é" * 20, "é" * 22)]
-    rows = [(k, k, 0, 0, a, b) for k, (a, b) in enumerate(pairs)]
-    cands = spark.createDataFrame(rows, "topic_id int, doc_id int, version_from int, version_to int, doc_text string, version_text string")
-    want = {r.doc_id: r.d for r in cands.select("doc_id", near(F.col("doc_text"), F.col("version_text"), 0.4).alias("d")).collect() if r.d is not None}
-    assert {r.doc_id: r.dist for r in mining.edit_match(cands, 0.4).collect()} == want and want[1] == 3
+    rows, plain, docs = [], {}, {}
+    for topic in range(6):
+        row, plain[topic] = history(rng, rng.choice([20, 40]), rng.choice([0, 5, 40]), rng.choice(["", "some é tail here"]))
+        rows.append((topic, *row))
+    for k in range(60):
+        text = list(rng.choice(list(plain[k % 6].values())))
+        for _ in range(rng.choice([0, 1, len(text) // 10, len(text) // 5, len(text) // 3])):
+            text[rng.randrange(len(text))] = rng.choice("xyz ")
+        docs[k] = "".join(text) if k % 10 else ""
+    corpus = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    hits = spark.createDataFrame([(t, k) for t in range(6) for k in docs], "topic_id long, doc_id long")
+    for threshold, inclusive in ((0.2, False), (0.2, True), (0.35, False)):
+        compared = mining.compare_versions(hits, corpus, packed_of(spark, rows), threshold, inclusive)
+        got = {(r.topic_id, r.doc_id, r.version_from, r.version_to): r.dist for r in mining.edit_match(compared).collect()}
+        want = {}
+        for t in range(6):
+            for k, doc in docs.items():
+                for span, text in plain[t].items():
+                    d, most = lev(doc, text), threshold * len(doc)
+                    if d < most - 1e-9 or inclusive and d <= most + 1e-9:
+                        want[(t, k, *span)] = d
+        assert got == want and len(want) > 100
+    cost = mining.costs(compared).first()
+    assert cost.hits == 360 and cost.pairs == sum(len(plain[t]) for t in range(6)) * 60 and cost.matched == len(want)
+    assert cost.distances + cost.ruled_out_by_length < cost.pairs
+
+
+def test_planted_versions_come_back(spark, sf):
+    """The document planted for a month is matched, at distance 0, by the version of that month alone."""
+    from vintage.workloads import retrieval
+
+    matched = retrieval.edit_matches(spark, sf).where(f"doc_id >= {retrieval.OFFSET} and dist = 0 and topic_id = (doc_id - {retrieval.OFFSET}) div 100").collect()
+    at = {(r.doc_id - retrieval.OFFSET) % 100 for r in matched}
+    topics = retrieval._topics(spark, sf).count()
+    assert at == set(retrieval.s.MIXES[retrieval.MIX]) and len({r.doc_id for r in matched}) == len(at) * topics
+    assert all(r.version_from <= (r.doc_id - retrieval.OFFSET) % 100 <= r.version_to for r in matched)
 
 
 def test_all_topics_are_mined(spark, sf):
     from vintage.workloads import retrieval, setup
 
     topics = {r.topic_id for r in setup.chosen_topics(spark, sf).collect()}
-    intervals, corpus = retrieval._inputs(spark, sf)
-    assert len(topics) > 60 and {r.topic_id for r in intervals.select("topic_id").distinct().collect()} == topics
-    assert corpus.where("subcorpus = 'direct'").count() == len(topics)
+    packed = retrieval._topics(spark, sf)
+    assert len(topics) > 60 and {r.topic_id for r in packed.select("topic_id").collect()} == topics
+    assert retrieval._corpus(spark, sf, packed).where("subcorpus = 'direct'").count() == len(topics)
     assert {r.versions for r in retrieval.static_inclusion(spark, sf).collect()} == {80 * len(topics)}
+
+
+def test_runs_of_a_long_text_take_one_walk(spark):
+    import time
+
+    from vintage.functions.text import shingles
+
+    df = spark.createDataFrame([(" ".join(f"w{k % 7000}" for k in range(n)),) for n in (20_020, 3, 5)] + [("",), (None,)], "text string")
+    began = time.perf_counter()
+    got = [r.n for r in df.select(F.size(shingles(tokens(F.col("text")), 5)).alias("n")).collect()]
+    assert got == [7000, 0, 1, 0, 0] and time.perf_counter() - began < 20
+
+
+def test_queries_go_in_blocks_of_topics(spark, monkeypatch):
+    rng = random.Random(11)
+    corpus = spark.createDataFrame([(k, [rng.choice("abcdefgh") for _ in range(rng.randint(0, 12))]) for k in range(60)], "doc_id long, toks array<string>")
+    terms = mining.query_terms(spark.createDataFrame([(t, [rng.choice("abcdxy") for _ in range(5)]) for t in range(9)], "topic_id long, toks array<string>"))
+    whole = sorted(map(tuple, mining.top_k_scan(corpus, terms, 4).collect()))
+    assert sorted(map(tuple, mining.top_k(mining.build_index(corpus), terms, 4).collect())) == whole
+    monkeypatch.setattr(mining, "BROADCAST_TERMS", 7)
+    assert sorted(map(tuple, mining.top_k_scan(corpus, terms, 4).collect())) == whole
+    assert mining.build_index(corpus).postings().groupBy("doc_id").agg(F.sum("tf")).count() == corpus.where("size(toks) > 0").count()

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import unicodedata
+from collections.abc import Callable
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -53,10 +54,26 @@ def shifted(array: Column, by: int) -> Column:
     return F.slice(F.concat(gap, array), F.lit(1), F.size(array))
 
 
+def runs_of(array: Column, n: int, joined: Callable[[list[Column]], Column]) -> Column:
+    """``joined`` of every run of n neighbours, in order; empty below n, null for a null array.
+
+    The array is laid beside itself n times, so the whole takes one walk however
+    costly the array is to compute; a slice taken for each place would compute it
+    again for each.
+    """
+    beside = F.arrays_zip(*(F.slice(array, F.lit(k + 1), F.greatest(F.size(array), F.lit(0))).alias(f"w{k}") for k in range(n)))
+    whole = F.slice(beside, F.lit(1), F.greatest(F.size(array) - (n - 1), F.lit(0)))
+    return F.transform(whole, lambda x: joined([x[f"w{k}"] for k in range(n)]))
+
+
+def joined_runs(array: Column, n: int, glue: str = " ") -> Column:
+    """Every run of n neighbours, joined."""
+    return runs_of(array, n, lambda ws: F.concat_ws(glue, *ws))
+
+
 def shingles(words: Column, n: int) -> Column:
     """Distinct runs of n words joined by blanks; empty below n words."""
-    runs = F.transform(F.sequence(F.lit(1), F.size(words) - n + 1), lambda i: F.array_join(F.slice(words, i, n), " "))
-    return F.when(F.size(words) >= n, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+    return F.array_distinct(joined_runs(words, n))
 
 
 def limit_of(length: Column, threshold: float, inclusive: bool = False) -> Column:
@@ -65,25 +82,19 @@ def limit_of(length: Column, threshold: float, inclusive: bool = False) -> Colum
     return (F.floor(cut) if inclusive else F.ceil(cut) - 1).cast("int")
 
 
-def common_start(a: Column, b: Column) -> Column:
-    """Number of characters that two texts share at their start, by halving steps."""
-    least = F.least(F.char_length(a), F.char_length(b))
-    steps = F.array(*(F.lit(1 << k) for k in range(27, -1, -1)))
-    return F.aggregate(steps, F.lit(0), lambda n, by: F.when((n + by <= least) & (F.substring(a, n + 1, by) == F.substring(b, n + 1, by)), n + by).otherwise(n))
-
-
-def near(a: Column, b: Column, threshold: float = 0.2, inclusive: bool = False, steps: tuple[int, ...] = (150, 300, 450, 600, 900), within: tuple[Column, Column] | None = None) -> Column:
+def near(a: Column, b: Column, threshold: float = 0.2, inclusive: bool = False, steps: tuple[int, ...] = (150, 300, 600, 1200, 2400, 4800, 9600)) -> Column:
     """Edit distance of b to a where it is below threshold * length(a), else null.
 
-    Cheapest tests first: equal texts, then the length gap, then the built-in
-    distance. That one takes a constant bound, so ``steps`` bounds are laid out
-    and each row uses the least that covers its own. ``within``: a and b without
-    a start and an end that they share, which have the same distance.
+    A native expression for single pairs. Cheapest tests first: equal texts, then
+    the length gap, then the built-in distance. That one takes a constant bound,
+    so ``steps`` bounds are laid out and each row uses the least that covers its
+    own; the distance itself stands in the expression once. For many versions
+    of one text ``mining.compare_versions`` is far cheaper.
     """
-    x, y = within or (a, b)
     most = limit_of(F.char_length(a), threshold, inclusive)
     gap = F.abs(F.char_length(a) - F.char_length(b))
-    d = F.levenshtein(x, y)
+    d = F.levenshtein(a, b)
     for bound in reversed(steps):
-        d = F.when(most <= bound, F.levenshtein(x, y, bound)).otherwise(d)
-    return F.when(a == b, F.when(most >= 0, F.lit(0))).when(gap <= most, F.when((d >= 0) & (d <= most), d))
+        d = F.when(most <= bound, F.levenshtein(a, b, bound)).otherwise(d)
+    fits = F.get(F.filter(F.array(d), lambda x: (x >= 0) & (x <= most)), F.lit(0))
+    return F.when(a == b, F.when(most >= 0, F.lit(0))).when(gap <= most, fits)

@@ -8,10 +8,10 @@ expanded where a method needs a row per month.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.text import head_tokens, tokens
+from ..functions.text import tokens
 from ..functions.timegrid import LAST_MONTH, month_ix, months
 
 
@@ -40,12 +40,22 @@ def topics(documents: DataFrame, edits: DataFrame, k: int = 5000, least_words: i
     return counted.join(long, "topic_id", "left_semi").orderBy(F.desc("n_edits"), "topic_id").limit(k)
 
 
+def _bases(documents: DataFrame, chosen: DataFrame, n_tokens: int) -> DataFrame:
+    """(topic_id, toks, tail): the chosen topics' first words, and the text behind them (empty without any)."""
+    words = documents.join(chosen.select(F.col("topic_id").alias("doc_id")), "doc_id").select(F.col("doc_id").alias("topic_id"), tokens(F.col("text")).alias("_all"))
+    return words.select("topic_id", F.slice("_all", 1, n_tokens).alias("toks"), F.array_join(F.slice("_all", F.lit(n_tokens + 1), F.greatest(F.size("_all"), F.lit(1))), " ").alias("tail"))
+
+
+def _last_edits(edits: DataFrame, sizes: DataFrame) -> DataFrame:
+    """(topic_id, pos, month_ix, token): the last edit of a word within a month. ``sizes``: (topic_id, n)."""
+    hits = edits.join(sizes, "topic_id").select("topic_id", "month_ix", ((F.col("major") * 31 + F.col("minor") * 97) % F.col("n")).cast("int").alias("pos"), F.concat(F.lit("p"), F.col("payload").cast("string")).alias("token"), F.struct("major", "minor", "payload").alias("at"))
+    return hits.groupBy("topic_id", "pos", "month_ix").agg(F.max_by("token", "at").alias("token"))
+
+
 def evolving_set(documents: DataFrame, edits: DataFrame, chosen: DataFrame, n_tokens: int = 512) -> DataFrame:
     """Word intervals (topic_id, pos, token, valid_from, valid_to) of the chosen topics."""
-    base = documents.join(chosen.select(F.col("topic_id").alias("doc_id")), "doc_id").select(F.col("doc_id").alias("topic_id"), head_tokens(F.col("text"), n_tokens).alias("toks"))
-    sizes = base.select("topic_id", F.size("toks").alias("n"))
-    hits = edits.join(sizes, "topic_id").select("topic_id", "month_ix", ((F.col("major") * 31 + F.col("minor") * 97) % F.col("n")).cast("int").alias("pos"), F.concat(F.lit("p"), F.col("payload").cast("string")).alias("token"), F.struct("major", "minor", "payload").alias("at"))
-    last = hits.groupBy("topic_id", "pos", "month_ix").agg(F.max_by("token", "at").alias("token"))
+    base = _bases(documents, chosen, n_tokens)
+    last = _last_edits(edits, base.select("topic_id", F.size("toks").alias("n")))
     words = base.select("topic_id", F.posexplode("toks").alias("pos", "token"))
     states = words.select("topic_id", "pos", F.lit(0).alias("valid_from"), F.lit(0).alias("edited"), "token").union(last.select("topic_id", "pos", "month_ix", F.lit(1), "token"))
     w = Window.partitionBy("topic_id", "pos").orderBy("valid_from", "edited")
@@ -53,11 +63,42 @@ def evolving_set(documents: DataFrame, edits: DataFrame, chosen: DataFrame, n_to
     return states.withColumn("valid_to", until).where("valid_from <= valid_to").select("topic_id", "pos", "token", "valid_from", "valid_to")
 
 
-def with_tails(intervals: DataFrame, documents: DataFrame, chosen: DataFrame, n_tokens: int = 512) -> DataFrame:
-    """The intervals with the words behind the first ``n_tokens``, which no edit reaches: whole versions."""
-    long = documents.join(chosen.select(F.col("topic_id").alias("doc_id")), "doc_id").select(F.col("doc_id").alias("topic_id"), tokens(F.col("text")).alias("toks")).where(F.size("toks") > n_tokens)
-    rest = long.select("topic_id", F.posexplode(F.slice("toks", F.lit(n_tokens + 1), F.size("toks"))).alias("pos", "token"))
-    return intervals.union(rest.select("topic_id", F.col("pos") + n_tokens, "token", F.lit(0), F.lit(LAST_MONTH)))
+def packed_set(documents: DataFrame, edits: DataFrame, chosen: DataFrame, n_tokens: int = 512) -> DataFrame:
+    """(topic_id, toks, tail, edits): a topic's whole history in one row.
+
+    ``toks`` are the first words before any edit, ``tail`` the text behind them,
+    which no edit reaches, ``edits`` the (month, pos, token) in order of months.
+    All versions together are so little longer than one of them.
+    """
+    base = _bases(documents, chosen, n_tokens)
+    last = _last_edits(edits, base.select("topic_id", F.size("toks").alias("n")))
+    log = last.groupBy("topic_id").agg(F.array_sort(F.collect_list(F.struct(F.col("month_ix").alias("month"), "pos", "token"))).alias("edits"))
+    none = F.array().cast("array<struct<month:int,pos:int,token:string>>")
+    return base.join(log, "topic_id", "left").withColumn("edits", F.coalesce("edits", none))
+
+
+def words_at(month: Column) -> Column:
+    """A packed topic's first words as they stood at the end of a month."""
+    done = F.filter("edits", lambda e: e["month"] <= month)
+    return F.aggregate(done, F.col("toks"), lambda w, e: F.concat(F.slice(w, F.lit(1), e["pos"]), F.array(e["token"]), F.slice(w, e["pos"] + 2, F.size(w))))
+
+
+def text_at(month: Column) -> Column:
+    """A packed topic's whole text as it stood at the end of a month."""
+    return F.array_join(F.concat(words_at(month), F.when(F.col("tail") != "", F.array("tail")).otherwise(F.array().cast("array<string>"))), " ")
+
+
+def packed_versions(packed: DataFrame) -> DataFrame:
+    """The packed topics once for each distinct version, with version_from and version_to."""
+    starts = F.array_sort(F.array_union(F.array(F.lit(0)), F.transform("edits", lambda e: e["month"])))
+    until = F.concat(F.transform(F.slice("_starts", F.lit(2), F.size("_starts")), lambda m: m - 1), F.array(F.lit(LAST_MONTH)))
+    spans = packed.withColumn("_starts", starts).withColumn("_spans", F.arrays_zip(F.col("_starts").alias("f"), until.alias("t")))
+    return spans.select(*packed.columns, F.explode("_spans").alias("_s")).select(*packed.columns, F.col("_s.f").alias("version_from"), F.col("_s.t").alias("version_to"))
+
+
+def whole_versions(packed: DataFrame) -> DataFrame:
+    """(topic_id, version_from, version_to, text): each distinct version written out, to the end."""
+    return packed_versions(packed).select("topic_id", "version_from", "version_to", text_at(F.col("version_from")).alias("text"))
 
 
 def version_intervals(intervals: DataFrame) -> DataFrame:
