@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from vintage.functions.text import canonical, fold, near, sentences, tokens
-from vintage.plans import audit, compare, corpora, curves, mining, ngram_lm, probes
+from vintage.plans import ablate, audit, compare, corpora, curves, mining, ngram_lm, probes
 
 
 def curve_of(spark, values, model="m"):
@@ -288,6 +288,32 @@ def test_packed_versions_equal_intervals_and_plain_edits(spark, sf):
     assert got == texts
 
 
+def test_leak_matches_equal_all_distances(spark):
+    rng = random.Random(12)
+    pages, texts = [], {}
+    for k in range(40):
+        words = [f"w{rng.randint(0, 30)}" for _ in range(25)] if k < 8 or k % 3 else list(texts[k % 8])
+        for _ in range(rng.choice([0, 1, 3, 9]) if k >= 8 else 0):
+            words[rng.randrange(25)] = f"é{rng.randint(0, 99)}"
+        texts[k] = words
+        pages.append((k, "in" if k < 8 else "out", words))
+    got = audit.leak_matches(spark.createDataFrame(pages, "page_id long, host string, toks array<string>"), F.col("host") == "in", k=32)
+    want = {}
+    for a in range(8):
+        for b in range(8, 40):
+            doc = " ".join(texts[b])
+            d = lev(" ".join(texts[a]), doc)
+            if d < 0.2 * len(doc) and set(texts[a]) & set(texts[b]):
+                want[a, b] = d
+    assert {(r.source, r.page_id): r.dist for r in got.collect()} == want and len(want) > 5
+
+
+def test_stability_by_family(spark):
+    rows = [("a_5000", 10, 0.2), ("a_50", 14, 0.4), ("b_c_5000", 3, 0.1), ("b_c_50", 3, 0.1)]
+    got = ablate.stability(spark.createDataFrame(rows, "model string, cutoff int, deviation double"), "5000")
+    assert {r.family: (r.max_shift, r.mean_deviation) for r in got.collect()} == {"a": (4, 0.3), "b_c": (0, 0.1)}
+
+
 def test_retrieval_reads_whole_texts(spark, sf):
     from vintage.workloads import retrieval
 

@@ -3,11 +3,8 @@ import pytest
 from tests.oracle import assert_same
 from vintage import workloads
 
-#: Variants whose plans others here share; the driver compares them all the same.
-SLOW = {"ngram_histogram_split", "histogram_by_subcorpus", "share_older_than_dump", "dump_age", "copies_vs_versions", "ngram_matches", "ev_curve_webonly", "ev_absolute", "ev_single_topic", "ev_curve_multidump", "static_inclusion", "bm25_top10"}
 
-
-@pytest.mark.parametrize("name", sorted(workloads.ORACLE_SQL.keys() - SLOW))
+@pytest.mark.parametrize("name", sorted(workloads.ORACLE_SQL))
 def test_query_equals_its_sql(spark, sf, name):
     assert_same(spark, sf, workloads.QUERIES[name], workloads.ORACLE_SQL[name])
 

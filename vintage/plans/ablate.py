@@ -33,6 +33,10 @@ def summary(curve: DataFrame) -> DataFrame:
 
 
 def stability(summaries: DataFrame, reference: str) -> DataFrame:
-    """Largest shift of the cutoff from the reference setting, and the mean deviation of the curves."""
-    ref = summaries.where(F.col("model") == reference).select(F.col("cutoff").alias("_ref"))
-    return summaries.join(F.broadcast(ref)).agg(F.max(F.abs(F.col("cutoff") - F.col("_ref"))).alias("max_shift"), F.round(F.avg("deviation"), 4).alias("mean_deviation"))
+    """(family, max_shift, mean_deviation): how far the cutoff moves from the reference setting, how much curves vary.
+
+    A model's name ends in its setting behind the last underscore; the rest is its family.
+    """
+    named = summaries.select("cutoff", "deviation", F.regexp_extract("model", "^(.*)_([^_]*)$", 1).alias("family"), F.regexp_extract("model", "^(.*)_([^_]*)$", 2).alias("setting"))
+    ref = named.where(F.col("setting") == reference).select("family", F.col("cutoff").alias("_ref"))
+    return named.join(F.broadcast(ref), "family").groupBy("family").agg(F.max(F.abs(F.col("cutoff") - F.col("_ref"))).alias("max_shift"), F.round(F.avg("deviation"), 4).alias("mean_deviation"))

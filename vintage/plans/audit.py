@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.text import sentences
+from ..functions.text import joined_runs, sentences, shingles
 from ..sources.tables import stored
+from . import mining
 
 
 def share_older(hist: DataFrame, dump_month: int, by: list[str] | None = None) -> DataFrame:
@@ -38,9 +39,7 @@ def twins(corpus: DataFrame, ignore: str = "space", text: str = "text") -> DataF
 
 def span_rows(corpus: DataFrame, n: int = 3, text: str = "text") -> DataFrame:
     """(doc_id, pos, span): every run of n sentences of a text."""
-    s = sentences(F.col(text))
-    runs = F.transform(F.sequence(F.lit(1), F.size(s) - n + 1), lambda i: F.array_join(F.slice(s, i, n), " "))
-    return corpus.where(F.size(s) >= n).select("doc_id", F.posexplode(runs).alias("pos", "span"))
+    return corpus.select("doc_id", F.posexplode(joined_runs(sentences(F.col(text)), n)).alias("pos", "span"))
 
 
 def spans(corpus: DataFrame, n: int = 3) -> DataFrame:
@@ -71,8 +70,7 @@ def leak_through(pages: DataFrame, excluded: Column, probes: DataFrame, n: int =
     that meet the same such sets, are each resolved to sources once.
     """
     def runs(df: DataFrame, name: str) -> DataFrame:
-        r = F.transform(F.sequence(F.lit(1), F.size("toks") - n + 1), lambda i: F.array_join(F.slice("toks", i, n), " "))
-        return df.where(F.size("toks") >= n).select(F.col("page_id").alias(name), F.explode(F.array_distinct(r)).alias("run"))
+        return df.select(F.col("page_id").alias(name), F.explode(shingles(F.col("toks"), n)).alias("run"))
 
     def digest(ids: Column) -> Column:
         return F.sha2(F.array_join(ids.cast("array<string>"), ","), 256)
@@ -86,3 +84,18 @@ def leak_through(pages: DataFrame, excluded: Column, probes: DataFrame, n: int =
     mixes = per.groupBy("mix").agg(F.first("met").alias("met")).select("mix", F.explode("met").alias("set"))
     sources = mixes.join(sets, "set").select("mix", F.explode("ids").alias("source")).groupBy("mix").agg(F.countDistinct("source").alias("sources"))
     return per.join(sources, "mix").select("page_id", "runs", "sources", F.round("weight", 6).alias("weight"))
+
+
+def leak_matches(pages: DataFrame, excluded: Column, threshold: float = 0.2, k: int = 10, n_words: int = 512) -> DataFrame:
+    """Pages outside an excluded domain that are near copies of one of its pages: (source, page_id, dist, norm).
+
+    Retrieval and edit distance, as for dated versions: each distinct page of the
+    domain is a topic with one version, and the rest of the pages the corpus.
+    """
+    own = pages.where(excluded).groupBy("toks").agg(F.min("page_id").alias("topic_id"))
+    none = F.array().cast("array<struct<month:int,pos:int,token:string>>")
+    packed = stored(own.select("topic_id", "toks", F.lit("").alias("tail"), none.alias("edits")))
+    corpus = pages.where(~excluded).select(F.col("page_id").alias("doc_id"), "toks", F.array_join("toks", " ").alias("text"))
+    hits = mining.top_k_scan(corpus, mining.query_terms(packed, n_words), k)
+    matched = mining.edit_match(mining.compare_versions(hits, corpus, packed, threshold))
+    return matched.select(F.col("topic_id").alias("source"), F.col("doc_id").alias("page_id"), "dist", "norm")

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.text import canonical, sentences, tokens
 from ..sources.tables import host_of, is_under
+from . import fuzzy
 from .audit import span_rows
 
 
@@ -53,17 +54,9 @@ def _without(docs: DataFrame, gone: DataFrame, parts: Column, glue: str) -> Data
     return met.select("doc_id", F.array_join(left, glue).alias("text"), F.size(left).alias("kept"), (F.size("_parts") - F.size(left)).alias("dropped"))
 
 
-def dedup_fuzzy(docs: DataFrame, jaccard: float = 0.8) -> DataFrame:
-    """(doc_id, component): documents joined where the similarity of their shingles of five words is confirmed.
-
-    Operator 8 at another threshold, on canonical words: a band's members are
-    compared with one of them, and members of bands that this leaves in several
-    components with each other. Fewer than five words are one shingle.
-    """
-    from ..llm.minhash_dedup import near_duplicates
-
-    words = docs.select("doc_id", F.array_join(tokens(F.col("text")), " ").alias("text"))
-    return near_duplicates(words, percent=round(100 * jaccard)).select("doc_id", F.col("component_id").alias("component"))
+def dedup_fuzzy(docs: DataFrame, jaccard: float = 0.8, bands: int = 24) -> DataFrame:
+    """(doc_id, component): documents joined where the similarity of their shingles of five words is confirmed."""
+    return fuzzy.components(docs, jaccard, bands)
 
 
 def exclude_hosts(pages: DataFrame, suffixes: list[str], url: str = "url") -> DataFrame:

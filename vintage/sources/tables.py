@@ -11,6 +11,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _OWN: list[str] = []
+#: Scratch tables written and not yet released.
+_SCRATCH: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -31,12 +33,42 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def stored(df: DataFrame, *partition_by: str) -> DataFrame:
-    """Written to the shared folder and read back: lineage ends there, and several readers share one computation."""
+    """Written to the shared folder and read back: lineage ends there, and several readers share one computation.
+
+    A lost executor then costs a file read, not the work before it. ``release``
+    deletes such tables once their readers are done.
+    """
     path = f"{shared_dir(df.sparkSession)}/stored-{uuid.uuid4().hex}"
-    df.write.partitionBy(*partition_by).parquet(path) if partition_by else df.write.parquet(path)
+    _SCRATCH.append(path)
+    writer = df.write.option("compression", "zstd")
+    (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    """Deletes a folder by Spark's own file system, wherever that is."""
+    jvm = spark.sparkContext._jvm
+    target = jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def release(spark: SparkSession, since: int = 0) -> int:
+    """Deletes the scratch tables written after the first ``since``; DataFrames that read them end with that.
+
+    ``len(scratch())`` before a query, given here after its result is written,
+    deletes that query's tables alone. Returns how many went.
+    """
+    gone = _SCRATCH[since:]
+    for path in gone:
+        delete(spark, path)
+    del _SCRATCH[since:]
+    return len(gone)
+
+
+def scratch() -> tuple[str, ...]:
+    return tuple(_SCRATCH)
+
+
 def write_bucketed(df: DataFrame, name: str, buckets: int, *columns: str) -> None:
     """A table bucketed by its join columns, so that later joins on them don't shuffle it."""
     df.write.bucketBy(buckets, *columns).sortBy(*columns).mode("overwrite").saveAsTable(name)

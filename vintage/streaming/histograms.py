@@ -7,8 +7,11 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..operators.joins import checked_broadcast
+
 LATE = "1 hour"
 
 
@@ -35,8 +38,13 @@ def distinct_copies(events: DataFrame, keys: list[str], late: str = LATE) -> Dat
 
 
 def with_static(docs: DataFrame, known: DataFrame, key: str) -> DataFrame:
-    """Arriving documents that match a static table of known hashes or terms."""
-    return docs.join(F.broadcast(known), key)
+    """Arriving documents that match a static table of known hashes or terms, which is broadcast if it is small."""
+    return docs.join(checked_broadcast(known), key)
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came behind the watermark and so are in no window, over the batches the query still remembers."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
 
 
 def edits_meet_crawls(edits: DataFrame, crawls: DataFrame, within: str = "7 days", late: str = LATE) -> DataFrame:

@@ -123,6 +123,13 @@ def domain_leak(spark: SparkSession, sf_dir: str) -> DataFrame:
     return audit.leak_through(pages, inside, pages.where(inside))
 
 
+def domain_leak_matches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages outside an excluded domain within a fifth of their length of one of its pages."""
+    pages = table(spark, sf_dir, "pages").select("page_id", host_of(F.col("url")).alias("host"), tokens(text_of_html(F.col("html"))).alias("toks"))
+    out = audit.leak_matches(pages, is_under(F.col("host"), EXCLUDED))
+    return out.select("source", "page_id", "dist", F.round("norm", 6).alias("norm"))
+
+
 def pages_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages", "page_id", "html").select("page_id", text_of_html(F.col("html")).alias("text"))
     return pages.select("page_id", F.char_length("text").alias("chars"), F.md5(F.col("text").cast("binary")).alias("digest"))
@@ -133,7 +140,7 @@ def page_hosts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pages.groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
 
 
-QUERIES = {f.__name__: f for f in (dedup_docs, dedup_canonical, dedup_spans, dedup_paras, dedup_fuzzy, exclude_hosts, from_domain, content_filter, mixture_stats, public_sample, crawl_chunks, twins_space, twins_digits, span3_survivors, para_survivors, exact_survivors, corpus_volume, domain_leak, pages_text, page_hosts)}
+QUERIES = {f.__name__: f for f in (dedup_docs, dedup_canonical, dedup_spans, dedup_paras, dedup_fuzzy, exclude_hosts, from_domain, content_filter, mixture_stats, public_sample, crawl_chunks, twins_space, twins_digits, span3_survivors, para_survivors, exact_survivors, corpus_volume, domain_leak, domain_leak_matches, pages_text, page_hosts)}
 
 # --- SQL -------------------------------------------------------------------
 
@@ -160,12 +167,18 @@ def _page_text() -> str:
 
 
 _RUNS = "list_distinct(list_transform(range(1, len(toks) - 6), lambda i: array_to_string(toks[i:i + 7], ' ')))"
+_FUZZY = f"""WITH RECURSIVE docs AS (SELECT doc_id, {_TOKS('text')} AS w FROM documents), texts AS (SELECT min(doc_id) AS rep, w FROM docs GROUP BY w),
+ grams AS (SELECT rep, unnest(CASE WHEN len(w) >= 5 THEN list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) ELSE [array_to_string(w, ' ')] END) AS g FROM texts WHERE len(w) > 0), sizes AS (SELECT rep, count(*) AS n FROM grams GROUP BY 1),
+ pairs AS (SELECT x.rep AS a, y.rep AS b, count(*) AS i FROM grams x JOIN grams y ON x.g = y.g AND x.rep < y.rep GROUP BY 1, 2), links AS (SELECT a, b FROM pairs JOIN sizes p ON p.rep = a JOIN sizes q ON q.rep = b WHERE 100 * i >= 80 * (p.n + q.n - i)),
+ sides AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links), reach(a, b) AS (SELECT a, b FROM sides UNION SELECT r.a, e.b FROM reach r JOIN sides e ON e.a = r.b), least AS (SELECT a, least(a, min(b)) AS c FROM reach GROUP BY a)
+ SELECT doc_id, CASE WHEN len(w) = 0 THEN doc_id ELSE coalesce(c, rep) END AS component FROM docs JOIN texts USING (w) LEFT JOIN least ON least.a = rep"""
 _WORDS = ", ".join(f"'{w}'" for w in UNWANTED)
 ORACLE_SQL = {
     "dedup_docs": "SELECT min(doc_id) AS doc_id FROM documents GROUP BY text",
     "dedup_canonical": f"SELECT min(doc_id) AS doc_id FROM documents GROUP BY {s.sql_canonical('text')}",
     "dedup_spans": f"WITH {_SPANS('documents')}, {_AGAIN('spans', 3, chr(39) + ' ' + chr(39))} SELECT doc_id, md5(text) AS digest, kept, dropped FROM left_texts",
     "dedup_paras": f"WITH {_PARAS} SELECT doc_id, md5(text) AS digest, kept, dropped FROM left_texts",
+    "dedup_fuzzy": _FUZZY,
     "exclude_hosts": f"SELECT page_id, {_HOST} AS host FROM pages WHERE NOT {_UNDER('example.org')}",
     "from_domain": f"SELECT page_id FROM pages WHERE {_UNDER('example.net')}",
     "content_filter": f"""WITH flagged AS (SELECT doc_id, CASE WHEN list_has_any(list_transform({_TOKS('text')}, lambda w: regexp_replace(w, '[^a-z]', '', 'g')), [{_WORDS}]) THEN 'words' WHEN regexp_matches(lower(text), 'lorem ipsum|terms of use|cookie policy|privacy policy|javascript must be enabled') THEN 'boilerplate' WHEN contains(text, '{{') OR contains(text, '}};') THEN 'code' ELSE 'kept' END AS reason FROM documents) SELECT reason, CAST(toxic AS DOUBLE) AS toxic, count(*) AS documents FROM flagged LEFT JOIN labels USING (doc_id) GROUP BY 1, 2""",
@@ -178,7 +191,7 @@ ORACLE_SQL = {
     "para_survivors": f"WITH {_FIRST}, lines AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM kept_docs) SELECT md5(line) AS line, count(*) AS occurrences, count(DISTINCT doc_id) AS documents FROM lines WHERE line != '' GROUP BY 1 HAVING count(*) > 1",
     "exact_survivors": f"WITH {_PARAS} SELECT md5(text) AS digest, count(*) AS documents, min(doc_id) AS first FROM left_texts WHERE text != '' GROUP BY 1 HAVING count(*) > 1",
     "corpus_volume": f"SELECT source, count(*) AS documents, CAST(sum(len({_TOKS('text')})) AS BIGINT) AS words, CAST(sum(octet_length(encode(text))) AS BIGINT) AS bytes FROM documents GROUP BY 1",
-    "domain_leak": f"WITH p AS (SELECT page_id, {_UNDER('example.org')} AS inside, {_TOKS(_page_text())} AS toks FROM pages), runs AS (SELECT page_id, inside, unnest({_RUNS}) AS run FROM p), own AS (SELECT run, min(page_id) AS source FROM runs WHERE inside GROUP BY 1 HAVING count(*) = 1) SELECT r.page_id, count(*) AS runs, count(DISTINCT source) AS sources FROM runs r JOIN own USING (run) WHERE NOT inside GROUP BY 1",
+    "domain_leak": f"WITH p AS (SELECT page_id, {_UNDER('example.org')} AS inside, {_TOKS(_page_text())} AS toks FROM pages), texts AS (SELECT min(page_id) AS source, toks FROM p WHERE inside GROUP BY toks), own AS (SELECT source, unnest({_RUNS}) AS run FROM texts), runs AS (SELECT page_id, unnest({_RUNS}) AS run FROM p WHERE NOT inside), per AS (SELECT run, count(*) AS m FROM own GROUP BY 1), weights AS (SELECT page_id, count(*) AS runs, round(sum(1.0 / m::DOUBLE), 6) AS weight FROM runs JOIN per USING (run) GROUP BY 1), met AS (SELECT page_id, count(DISTINCT source) AS sources FROM runs JOIN own USING (run) GROUP BY 1) SELECT page_id, runs, sources, weight FROM weights JOIN met USING (page_id)",
     "pages_text": f"SELECT page_id, CAST(length(text) AS INTEGER) AS chars, md5(text) AS digest FROM (SELECT page_id, {_page_text()} AS text FROM pages)",
     "page_hosts": f"SELECT {_HOST} AS host, count(*) AS pages FROM pages GROUP BY 1",
 }

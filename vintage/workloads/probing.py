@@ -111,7 +111,7 @@ def ev_absolute(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def trimmed_vs_mean(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One month of redirect-like pages (a third of the topics, perplexity times 50): trimmed, plain and median."""
+    """One month of redirect-like pages (topics whose id is a multiple of 50, perplexity times 50): trimmed, plain and median."""
     ppl = s.topic_perplexity(spark, sf_dir, ["curated"])
     odd = (F.col("month_ix") == 40) & (F.col("topic_id") % 50 == 0)
     ppl = stored(ppl.withColumn("ppl", F.when(odd, F.col("ppl") * 50).otherwise(F.col("ppl"))))
@@ -146,6 +146,21 @@ def docs_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ablate.summary(curves.relative(curves.trimmed_mean(ablate.by_size(ppl, ranked, SIZES))))
 
 
+def docs_stability(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How far cutoffs move, and how much curves vary, over the numbers of topics."""
+    return ablate.stability(docs_ablation(spark, sf_dir), "5000")
+
+
+def trimmed_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Trimming by sketched bounds instead of ranks, for months of very many items: beside the exact mean."""
+    ppl = stored(s.topic_perplexity(spark, sf_dir, ["curated"]))
+    keys = ["model", "month_ix"]
+    exact = curves.trimmed_mean(ppl).select(*keys, F.col("ppl").alias("trimmed"), F.col("n").alias("n"))
+    sketched = curves.trimmed_mean(ppl, approx=True).select(*keys, F.col("ppl").alias("_p"), F.col("n").alias("_n"))
+    near = (F.abs(F.col("_p") / F.col("trimmed") - 1) < 0.02) & (F.abs(F.col("_n") - F.col("n")) <= F.greatest(F.lit(2), F.col("n") * 0.01))
+    return _rounded(exact.join(sketched, keys).select(*keys, "trimmed", "n", near.alias("near")), "trimmed")
+
+
 DENSITIES = {"every": 1, "second": 2, "fourth": 4}
 
 
@@ -176,7 +191,7 @@ def static_control(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(curve, "ppl", "rel")
 
 
-QUERIES = {f.__name__: f for f in (ev_topics, ev_versions, dt_buckets, dt_curve, dt_cutoff_rise, ev_curve_curated, ev_curve_webonly, ev_curve_multidump, ev_curve_order3, ev_curve_pruned, ev_effective_cutoffs, ev_cutoff_spread, ev_single_topic, ev_absolute, trimmed_vs_mean, scale_ablation, docs_ablation, dedup_vs_upsampled, static_control)}
+QUERIES = {f.__name__: f for f in (ev_topics, ev_versions, dt_buckets, dt_curve, dt_cutoff_rise, ev_curve_curated, ev_curve_webonly, ev_curve_multidump, ev_curve_order3, ev_curve_pruned, ev_effective_cutoffs, ev_cutoff_spread, ev_single_topic, ev_absolute, trimmed_vs_mean, scale_ablation, docs_ablation, docs_stability, trimmed_approx, dedup_vs_upsampled, static_control)}
 
 # --- SQL -------------------------------------------------------------------
 
@@ -238,6 +253,8 @@ ORACLE_SQL = {
     "trimmed_vs_mean": f"WITH {s.sql_topic_perplexity({'curated': s.MIXES['curated']})}, odd AS (SELECT model, topic_id, month_ix, CASE WHEN month_ix = 40 AND topic_id % 50 = 0 THEN ppl * 50 ELSE ppl END AS ppl FROM ppl), {s.sql_curve(src='odd')} SELECT c.model, c.month_ix, round(c.ppl, 4) AS trimmed, round(o.mean, 4) AS mean, round(o.median, 4) AS median FROM curve c JOIN (SELECT model, month_ix, avg(ppl) AS mean, quantile_cont(ppl, 0.5) AS median FROM odd GROUP BY 1, 2) o ON o.model = c.model AND o.month_ix = c.month_ix",
     "scale_ablation": _scale(),
     "docs_ablation": _sizes(),
+    "docs_stability": f"WITH sums AS ({_sizes()}), named AS (SELECT regexp_extract(model, '^(.*)_([^_]*)$', 1) AS family, regexp_extract(model, '^(.*)_([^_]*)$', 2) AS setting, cutoff, deviation FROM sums) SELECT n.family, max(abs(n.cutoff - r.cutoff)) AS max_shift, round(avg(n.deviation), 4) AS mean_deviation FROM named n JOIN (SELECT family, cutoff FROM named WHERE setting = '5000') r ON r.family = n.family GROUP BY 1",
+    "trimmed_approx": f"{_sql(['curated'])} SELECT model, month_ix, round(ppl, 4) AS trimmed, n, TRUE AS near FROM curve",
     "dedup_vs_upsampled": _dedup(),
     "static_control": f"""WITH {s.sql_grid()}, corp AS (SELECT doc_id AS seq, generate_subscripts(toks, 1) AS pos, unnest(toks) AS c, 1 AS w_static FROM (SELECT doc_id, {s.sql_tokens('text')} AS toks FROM documents)),
 probe AS (SELECT item_id AS topic_id, generate_subscripts(toks, 1) AS pos, unnest(toks) AS c FROM (SELECT item_id, {s.sql_tokens('text')} AS toks FROM benchmark)), {s.sql_model('corp', 'probe', ['static'], 2, 'topic_id')},

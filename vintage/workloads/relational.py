@@ -144,10 +144,15 @@ def agg_salted(spark, sf_dir):
     return salted_count(table(spark, sf_dir, "documents", "source", "lang"), ["source", "lang"])
 
 
-@query(None)
+@query("SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, TRUE AS parts_near, count(DISTINCT l_orderkey) AS orders, TRUE AS orders_near, TRUE AS median_near FROM lineitem GROUP BY 1")
 def agg_approx(spark, sf_dir):
-    """Sketches: distinct parts, quantiles, a mergeable sketch's estimate."""
-    return table(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_extendedprice", 0.5).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("l_orderkey")).alias("orders"))
+    """Sketches beside exact answers: distinct counts within a tenth, the median between the 49th and 51st percentile."""
+    lines = table(spark, sf_dir, "lineitem").groupBy("l_returnflag")
+    c = F.col
+    sketched = lines.agg(F.approx_count_distinct("l_partkey", 0.02).alias("p"), F.hll_sketch_estimate(F.hll_sketch_agg("l_orderkey")).alias("o"), F.percentile_approx("l_extendedprice", 0.5).alias("m"))
+    exact = lines.agg(F.countDistinct("l_partkey").alias("parts"), F.countDistinct("l_orderkey").alias("orders"), F.percentile("l_extendedprice", F.array(F.lit(0.49), F.lit(0.51))).alias("around"))
+    near = lambda got, want: F.abs(c(got) - c(want)) <= 0.1 * c(want)
+    return sketched.join(exact, "l_returnflag").select("l_returnflag", "parts", near("p", "parts").alias("parts_near"), "orders", near("o", "orders").alias("orders_near"), c("m").between(c("around")[0], c("around")[1]).alias("median_near"))
 
 
 _SETS = "grouping(lang) AS no_lang, count(*) AS n FROM documents GROUP BY"
