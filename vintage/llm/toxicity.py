@@ -1,12 +1,15 @@
 """Operator 5: toxicity by a weighted finite-state grammar over clauses.
 
-Five transducers read a clause word by word: insult, threat, target, negation
-and reported speech. Their composition is one weighted automaton whose state is
-(what has been negated or reported so far, whether a target was seen) and whose
-arcs carry weights; a clause's weight is that of its best path, a document's
-score the noisy-or of its clauses. A word alone scores nothing: it is weighed in
-its clause, where a negation just before it or reported speech takes most of its
-weight away and an addressed target adds to it.
+A lexicon reads a clause word by word and writes a symbol for each: insult,
+threat, target, negation, report or other. Transducers rewrite that tape one
+after another: negation marks insults and threats within its reach, reported
+speech marks those behind a verb of saying, target remembers that someone is
+addressed, and two acceptors, of insults and of threats, each take one hit and
+weigh it by its marks. They are tables of arcs, composed into one automaton
+when the module loads; a clause's weight is that of its best path, found in one
+walk, and a document's score the noisy-or of its clauses. So a word alone scores
+nothing: a negation just before it or reported speech takes most of its weight
+away, an addressed target adds to it, and a threat without one is a mere mention.
 
 The word classes other than insults are short fixed lists. Insults, words and
 stems, are learned from labelled rows: a form is taken if it occurs in far more
@@ -34,10 +37,22 @@ from pyspark.sql import functions as F
 from .common import held_out, slices, texts_of, with_columns
 
 #: Fixed word lists by class, in the languages of the tables.
-THREATS = ["kill", "hurt", "destroy", "töten", "umbringen", "tuer", "frapper", "matar", "golpear"]
-TARGETS = ["you", "your", "they", "them", "du", "dich", "ihr", "euch", "tu", "toi", "vous", "usted", "ustedes", "vosotros"]
-NEGATIONS = ["not", "never", "no", "isn't", "aren't", "nicht", "kein", "nie", "pas", "jamais", "nunca", "jamás"]
-REPORTS = ["said", "says", "wrote", "called", "quoted", "sagte", "schrieb", "disait", "écrivait", "dijo", "escribió"]
+THREATS = [
+    "kill", "hurt", "destroy", "murder", "strangle", "stab", "shoot", "burn", "crush", "punch",
+    "töten", "umbringen", "erschießen", "verprügeln", "schlagen", "tuer", "frapper", "étrangler", "égorger", "matar", "golpear", "asesinar", "quemar",
+]
+TARGETS = [
+    "you", "your", "yours", "yourself", "they", "them", "their", "him", "her", "du", "dich", "dir", "dein", "ihr", "euch", "euer",
+    "tu", "toi", "te", "vous", "votre", "usted", "ustedes", "vosotros", "ti",
+]
+NEGATIONS = [
+    "not", "never", "no", "nobody", "neither", "nor", "without", "isn't", "aren't", "wasn't", "don't", "doesn't", "didn't", "won't", "can't",
+    "nicht", "kein", "keine", "keinen", "nie", "niemals", "ohne", "pas", "jamais", "aucun", "sans", "nunca", "jamás", "ningún", "sin",
+]
+REPORTS = [
+    "said", "says", "saying", "wrote", "writes", "called", "calls", "quoted", "quotes", "claimed", "claims", "told", "reported",
+    "sagte", "sagt", "schrieb", "schreibt", "nannte", "zitierte", "disait", "dit", "écrivait", "écrit", "appelait", "dijo", "dice", "escribió", "llamó",
+]
 
 CLAUSE_END = re.compile(r"[.!?;:\n]+")
 WORD = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?")
@@ -46,8 +61,122 @@ NEGATED, REPORTED, TARGETED, UNARMED = 0.25, 0.5, 0.1, 0.2
 STEM = range(3, 8)
 
 
+HITS = ("insult", "threat")
+#: Marks that transducers leave on a hit, and what each is worth.
+MARKS = {"-": NEGATED, '"': REPORTED}
+
+
+class Transducer:
+    """Arcs {state: {symbol: [(next state, symbol written, whether the hit is taken, factor)]}} from ``start``.
+
+    A symbol that a state doesn't list is copied, and the state stays.
+    """
+
+    def __init__(self, start, arcs: dict):
+        self.start, self.arcs = start, arcs
+
+    def step(self, state, symbol: str) -> list[tuple]:
+        return self.arcs.get(state, {}).get(symbol) or [(state, symbol, False, 1.0)]
+
+
+def _forms(kinds=HITS) -> list[str]:
+    """Hits with every set of marks, in the order that the transducers write them."""
+    return [k + m for k in kinds for m in ("", "-", '"', '-"')]
+
+
+def negating(reach: int = REACH) -> Transducer:
+    """Marks hits among the ``reach`` words behind a negation; the state counts the words left."""
+    arcs: dict = {}
+    for left in range(reach + 1):
+        rest = max(0, left - 1)
+        own = {s: [(rest, s, False, 1.0)] for s in ("other", "target", "report")}
+        own |= {s: [(rest, s + "-" if left else s, False, 1.0)] for s in HITS}
+        arcs[left] = own | {"negation": [(reach, "negation", False, 1.0)]}
+    return Transducer(0, arcs)
+
+
+def reporting() -> Transducer:
+    """Marks hits behind a verb of saying."""
+    quoted = {s: [(True, s + '"', False, 1.0)] for k in HITS for s in (k, k + "-")}
+    return Transducer(False, {False: {"report": [(True, "report", False, 1.0)]}, True: quoted})
+
+
+def targeting() -> Transducer:
+    """Remembers whether someone is addressed anywhere in the clause."""
+    return Transducer(False, {False: {"target": [(True, "target", False, 1.0)]}})
+
+
+def accepting(kind: str) -> Transducer:
+    """Takes one hit of a kind, or none so far; a mark on it is a factor."""
+    taken = {s: [(None, s, False, 1.0), (kind, s, True, math.prod(f for m, f in MARKS.items() if m in s))] for s in _forms((kind,))}
+    return Transducer(None, {None: taken})
+
+
+def either(one: Transducer, other: Transducer) -> Transducer:
+    """The union of two acceptors that share their start."""
+    return Transducer(one.start, {one.start: {**one.arcs[one.start], **other.arcs[other.start]}})
+
+
+def compose(first: Transducer, then: Transducer, symbols: list[str]) -> Transducer:
+    """One transducer that reads ``symbols`` as ``first`` does and writes what ``then`` makes of it."""
+    start = (first.start, then.start)
+    arcs: dict = {}
+    todo = [start]
+    while todo:
+        at = todo.pop()
+        if at in arcs:
+            continue
+        arcs[at] = {}
+        for s in symbols:
+            out = [((p, q), y, took or takes, f * g) for p, x, took, f in first.step(at[0], s) for q, y, takes, g in then.step(at[1], x)]
+            arcs[at][s] = out
+            todo += [n for n, *_ in out]
+    return Transducer(start, arcs)
+
+
+SYMBOLS = ["other", "negation", "report", "target", *HITS]
+
+
+class Automaton:
+    """The composed grammar with numbered states: arcs[state][symbol] = ((next, taken, factor), ...)."""
+
+    def __init__(self):
+        whole = negating()
+        for then in (reporting(), targeting(), either(accepting("insult"), accepting("threat"))):
+            whole = compose(whole, then, SYMBOLS)
+        states = sorted(whole.arcs, key=repr)
+        number = {s: k for k, s in enumerate(states)}
+        self.start = number[whole.start]
+        self.arcs = [{x: tuple((number[n], t, f) for n, _, t, f in whole.arcs[s][x]) for x in SYMBOLS} for s in states]
+        self.final = [(s[0][1], s[1]) for s in states]  # whether a target was seen, kind of hit taken
+
+    def weight(self, tape) -> float:
+        """Weight of the best path over (symbol, lexical weight) pairs."""
+        alive = {self.start: 1.0}
+        for symbol, w in tape:
+            after: dict[int, float] = {}
+            for state, so_far in alive.items():
+                for n, taken, factor in self.arcs[state][symbol]:
+                    v = so_far * factor * w if taken else so_far
+                    if v > after.get(n, 0.0):
+                        after[n] = v
+            alive = after
+        return max(self._ended(state, v) for state, v in alive.items())
+
+    def _ended(self, state: int, v: float) -> float:
+        target, kind = self.final[state]
+        if kind == "insult":
+            return v + TARGETED * (1 - v) if target else v
+        if kind == "threat":
+            return v if target else UNARMED * v
+        return 0.0
+
+
+CLAUSES = Automaton()
+
+
 class Grammar:
-    """The composed automaton: word classes with weights, and how they meet in a clause."""
+    """The lexicon, learned and fixed, over the composed automaton."""
 
     def __init__(self, words: dict[str, float], stems: dict[str, float]):
         self.words, self.stems = words, stems
@@ -72,38 +201,18 @@ class Grammar:
     def insult(self, word: str) -> float:
         return max([self.words.get(word, 0.0), *(self.stems.get(word[:k], 0.0) for k in self.lengths)])
 
-    def arcs(self, word: str) -> tuple[str, float]:
-        """Class and weight of a word: the union of the five transducers' arcs."""
+    def symbol(self, word: str) -> tuple[str, float]:
+        """What the lexicon writes for a word, and the word's own weight."""
         kind = self.fixed.get(word)
         if kind == "threat":
             return "insult" if self.insult(word) else "threat", max(self.insult(word), 0.6)
         if kind:
-            return kind, 0.0
+            return kind, 1.0
         w = self.insult(word)
-        return ("insult", w) if w else ("other", 0.0)
+        return ("insult", w) if w else ("other", 1.0)
 
     def clause(self, words: list[str]) -> float:
-        """Weight of the clause's best accepting path."""
-        negated, reported, target, best, threat = 0, False, False, 0.0, 0.0
-        for word in words:
-            kind, w = self.arcs(word)
-            if kind == "negation":
-                negated = REACH + 1
-            elif kind == "report":
-                reported = True
-            elif kind == "target":
-                target = True
-            elif w:
-                w *= (NEGATED if negated else 1.0) * (REPORTED if reported else 1.0)
-                if kind == "threat":
-                    threat = max(threat, w)
-                else:
-                    best = max(best, w)
-            negated = max(0, negated - 1)
-        if best and target:
-            best += TARGETED * (1 - best)
-        # A threat without a target is a mere mention.
-        return max(best, threat if target else UNARMED * threat)
+        return CLAUSES.weight(map(self.symbol, words))
 
     def score(self, text: str) -> float:
         low = text.lower()
