@@ -99,14 +99,21 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_embedding_near_dedup, op2_url_filter, op3_word_bpe, op4_chat_format, op5_toxicity, op6_best_fit_packing, op7_edit_aware_counts, op8_minhash_near_dedup, op9_sharding, op10_quality_rules)}
 
-_REST = "CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END"
 _RULES = [("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "block"), ("example.net", "/de/8", "block"), ("org", "/es/", "block")]
 _RULE_ROWS = ", ".join(f"('{h}', '{p}', '{d}')" for h, p, d in _RULES)
-_KEY = r"""CASE WHEN instr({0}, '://') > 0 THEN
- translate(regexp_replace(regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '^([^/?]*)', 1), ':(80|443)$', ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')
- || regexp_replace(regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '^[^/?]*([^?]*)', 1), '/+$', '')
- || CASE WHEN trim(regexp_replace('&' || regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '\?(.*)$', 1), '&(utm_[a-z]+|ref|gclid|fbclid)=[^&]*', '', 'g'), '&') != ''
- THEN '?' || trim(regexp_replace('&' || regexp_extract(regexp_extract({0}, '^[^:/?#]*://([^#]*)', 1), '\?(.*)$', 1), '&(utm_[a-z]+|ref|gclid|fbclid)=[^&]*', '', 'g'), '&') ELSE '' END END"""
+_LOWER = "translate({0}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+#: Host and path by the contract, of a url or a target.
+_AFTER = "CASE WHEN contains({0}, '://') THEN substr({0}, instr({0}, '://') + 3) ELSE '' END"
+_HOST, _PATH = _LOWER.format(f"regexp_extract({_AFTER}, '^([^/?#]*)', 1)"), f"regexp_extract({_AFTER}, '^[^/?#]*([^?#]*)', 1)"
+_FITS = "(({0} = h OR ends_with({0}, '.' || h)) AND starts_with({1}, p))"
+_TAIL = "regexp_extract({0}, '^[^:/?#]*://[^/?#]*([^#]*)', 1)"
+_SCHEME, _AUTH = _LOWER.format("regexp_extract({0}, '^([^:/?#]*)://', 1)"), _LOWER.format("regexp_extract({0}, '^[^:/?#]*://([^/?#]*)', 1)")
+_NODE = f"""CASE WHEN regexp_matches({{0}}, '^[^:/?#]*://') THEN {_SCHEME} || '://' || CASE {_SCHEME} WHEN 'http' THEN regexp_replace({_AUTH}, ':(80)?$', '') WHEN 'https' THEN regexp_replace({_AUTH}, ':(443)?$', '') ELSE {_AUTH} END
+ || CASE WHEN {_TAIL} = '' OR starts_with({_TAIL}, '?') THEN '/' ELSE '' END || {_TAIL} END"""
+#: Targets without dot segments; those are held against Python's urllib in the tests.
+_TARGET = r"""CASE WHEN regexp_matches(t, '^[A-Za-z][A-Za-z0-9+.-]*://') THEN t WHEN t = '' OR starts_with(t, '#') OR regexp_matches(t, '^[A-Za-z][A-Za-z0-9+.-]*:') OR NOT contains(url, '://') THEN NULL
+ WHEN starts_with(t, '//') THEN regexp_extract(url, '^([^:/?#]*:)', 1) || t WHEN starts_with(t, '/') THEN regexp_extract(url, '^([^:/?#]*://[^/?#]*)', 1) || t WHEN starts_with(t, '?') THEN regexp_extract(url, '^([^?#]*)', 1) || t
+ WHEN regexp_matches(url, '^[^:/?#]*://[^/?#]*/') THEN regexp_extract(url, '^([^:/?#]*://[^?#]*/)', 1) || t ELSE regexp_extract(url, '^([^:/?#]*://[^/?#]*)', 1) || '/' || t END"""
 _LINK = r"""regexp_extract(regexp_extract(html, '(?i)<link\b[^>]*\brel\s*=\s*["'']?canonical\b[^>]*>', 0), '(?i)\bhref\s*=\s*["'']?([^"''\s>]+)', 1)"""
 _MOVED = r"""regexp_extract(regexp_extract(html, '(?i)<meta\b[^>]*\bhttp-equiv\s*=\s*["'']?refresh\b[^>]*>', 0), '(?i)\burl\s*=\s*["'']?([^"''\s>]+)', 1)"""
 _ESCAPED = "replace({0}, chr(92), chr(92) || chr(92))"
@@ -124,16 +131,15 @@ ORACLE_SQL: dict[str, str] = {
  grams AS (SELECT doc_id, len(g) AS n, unnest(g) AS g FROM sets), pairs AS (SELECT x.doc_id AS a, y.doc_id AS b, x.n AS na, y.n AS nb, count(*) AS i FROM grams x JOIN grams y ON x.g = y.g AND x.doc_id < y.doc_id GROUP BY ALL),
  links AS (SELECT a, b FROM pairs WHERE 100 * i >= 85 * (na + nb - i)), {_CLASSES}
  SELECT doc_id, CAST(len(g) AS BIGINT) AS n_shingles, coalesce(c, doc_id) AS component_id, doc_id = coalesce(c, doc_id) AS kept FROM sets LEFT JOIN least ON least.a = doc_id""",
-    "op2_url_filter": f"""WITH RECURSIVE parts AS (SELECT page_id, {_KEY.format('url')} AS k, CASE WHEN contains({_LINK}, '://') THEN {_LINK} WHEN contains({_MOVED}, '://') THEN {_MOVED} END AS target,
- translate(regexp_extract({_REST}, '^([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract({_REST}, '^[^/?#]*([^?#]*)', 1) AS path FROM pages),
- rules(h, p, d) AS (VALUES {_RULE_ROWS}),
- fits AS (SELECT page_id, h || p AS rule, d, row_number() OVER (PARTITION BY page_id ORDER BY length(h || p) DESC, h || p) AS r FROM (SELECT DISTINCT page_id, host, path FROM parts) JOIN rules ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p)),
- edges AS (SELECT k AS a, {_KEY.format('target')} AS b FROM parts WHERE target IS NOT NULL AND k IS NOT NULL), pairs AS (SELECT a, b FROM edges UNION SELECT b, a FROM edges),
- reach(a, b) AS (SELECT a, b FROM pairs UNION SELECT r.a, e.b FROM reach r JOIN pairs e ON e.a = r.b), comp AS (SELECT a AS k, least(a, min(b)) AS c FROM reach GROUP BY a),
- judged AS (SELECT q.page_id, host, path, rule, d, coalesce(c, q.k) AS c FROM parts q LEFT JOIN fits f ON f.page_id = q.page_id AND r = 1 LEFT JOIN comp ON comp.k = q.k),
- ends AS (SELECT c, d, row_number() OVER (PARTITION BY comp.k ORDER BY length(h || p) DESC, h || p) AS r FROM comp JOIN rules ON (regexp_extract(comp.k, '^([^/?#]*)', 1) = h OR ends_with(regexp_extract(comp.k, '^([^/?#]*)', 1), '.' || h)) AND starts_with(regexp_extract(comp.k, '^[^/?#]*([^?#]*)', 1), p)),
- votes AS (SELECT c, bool_or(d = 'allow') AS allowed, bool_or(d = 'block') AS blocked FROM (SELECT c, d FROM judged WHERE d IS NOT NULL UNION ALL SELECT c, d FROM ends WHERE r = 1) GROUP BY c)
- SELECT page_id, host, path, rule, coalesce(d, CASE WHEN allowed THEN 'allow' WHEN blocked THEN 'block' ELSE 'allow' END) AS verdict FROM judged j LEFT JOIN votes v ON v.c = j.c""",
+    "op2_url_filter": f"""WITH RECURSIVE rules(h, p, d) AS (VALUES {_RULE_ROWS}),
+ hops AS (SELECT url AS a, {_TARGET} AS b FROM (SELECT url, unnest([{_LINK}, {_MOVED}]) AS t FROM pages)), links AS (SELECT {_NODE.format('a')} AS a, {_NODE.format('b')} AS b, a AS ua, b AS ub FROM hops WHERE a IS NOT NULL AND b IS NOT NULL),
+ sides AS (SELECT a, b FROM links UNION SELECT b, a FROM links UNION SELECT a, a FROM links UNION SELECT b, b FROM links), reach(a, b) AS (SELECT a, b FROM sides UNION SELECT r.a, e.b FROM reach r JOIN sides e ON e.a = r.b),
+ written AS (SELECT a AS node, regexp_replace(ua, '^([^:/?#]*://[^/?#:]*):(80|443)([/?#]|$)', '\\1\\3') AS u FROM links UNION SELECT b, regexp_replace(ub, '^([^:/?#]*://[^/?#:]*):(80|443)([/?#]|$)', '\\1\\3') FROM links),
+ own AS (SELECT node, arg_max(d, (length(h || p), h || p)) AS d FROM written JOIN rules ON {_FITS.format(_HOST.format('u'), _PATH.format('u'))} GROUP BY node, u),
+ spread AS (SELECT r.a AS node, bool_or(d = 'allow') AS allowed FROM reach r JOIN own ON own.node = r.b GROUP BY 1),
+ parts AS (SELECT row_number() OVER () AS n, page_id, {_HOST.format('url')} AS host, {_PATH.format('url')} AS path, {_NODE.format('url')} AS node FROM (SELECT page_id, url FROM pages)),
+ ruled AS (SELECT n, arg_max(h || p, (length(h || p), h || p)) AS rule, arg_max(d, (length(h || p), h || p)) AS d FROM parts JOIN rules ON {_FITS.format('host', 'path')} GROUP BY n)
+ SELECT page_id, coalesce(host, '') AS host, coalesce(path, '') AS path, rule, coalesce(d, CASE WHEN NOT allowed THEN 'block' END, 'allow') AS verdict FROM parts LEFT JOIN ruled USING (n) LEFT JOIN spread USING (node)""",
     "op4_chat_format": f"""WITH rows AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]')
  SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, md5(text))) AS turns_sha256, CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, md5(text)) FILTER (role = 'assistant'), '')) AS loss_sha256, CAST(sum({len('<|turn|>') + 1 + len('<|end|>') + 1} + length(replace({_ESCAPED.format('role')}, chr(10), chr(92) || chr(10))) + length({_ESCAPED.format('text')})) AS BIGINT) AS formatted_chars FROM rows GROUP BY 1""",
