@@ -80,9 +80,12 @@ def fold(events: list[tuple]) -> list[tuple[str, str]]:
 def events_of(rows: DataFrame, piece: int = 400) -> DataFrame:
     """A log of plain rows (conv_id, turn, role, text): the first piece opens a message, the others stream in."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    count = F.greatest(F.lit(1), F.ceil(F.char_length(text) / piece).cast("int"))
-    cut = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.struct(i.alias("part"), F.substring(text, i * piece + 1, F.lit(piece)).alias("text")))
-    # Rows that share a turn are several messages, so each row has a message key of its own.
+    # A row without a conversation is one by itself and streams nothing: no other row could be told to belong to it.
+    alone = F.col("conv_id").isNull()
+    count = F.when(alone, 1).otherwise(F.greatest(F.lit(1), F.ceil(F.char_length(text) / piece).cast("int")))
+    cut = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.struct(i.alias("part"), F.when(alone, text).otherwise(F.substring(text, i * piece + 1, F.lit(piece))).alias("text")))
+    # Rows that share a turn are several messages, so each row has a message key of its own. Its number only
+    # tells equal rows apart, which may change places freely, so it need not be the same when a task runs again.
     message = F.concat_ws("/", F.coalesce("role", F.lit("")), F.md5(text.cast("binary")), F.lpad(F.monotonically_increasing_id().cast("string"), 19, "0"))
     keyed = rows.select("conv_id", "turn", "role", message.alias("message"), cut.alias("cut"))
     flat = keyed.select("conv_id", "turn", "message", "role", F.inline("cut").alias("part", "text"))
@@ -91,9 +94,10 @@ def events_of(rows: DataFrame, piece: int = 400) -> DataFrame:
 
 def format_chats(events: DataFrame) -> DataFrame:
     """(conv_id, formatted, loss_spans) from a log (conv_id, turn, message, seq, kind, role, text)."""
-    own = F.when(F.col("conv_id").isNull(), F.monotonically_increasing_id())
-    log = F.sort_array(F.collect_list(F.struct("turn", "message", "seq", "kind", "role", "text")))
-    grouped = events.withColumn("_own", own).groupBy("conv_id", "_own").agg(log.alias("log")).select("conv_id", "log")
+    event = F.struct("turn", "message", "seq", "kind", "role", "text")
+    # Events without a conversation need no grouping, and so no id made up for them.
+    alone = events.where("conv_id is null").select("conv_id", F.array(event).alias("log"))
+    grouped = events.where("conv_id is not null").groupBy("conv_id").agg(F.sort_array(F.collect_list(event)).alias("log")).union(alone)
     kind = dict(events.dtypes)["conv_id"]
 
     def run(batches):
