@@ -2,24 +2,27 @@
 
 A record is hashed into one of thousands of slots, for good. Bytes and rows are
 added up per slot, which is a table of fixed size, and a versioned map assigns
-slots to shards so that their bytes are near equal. Rebalancing edits the map:
-it moves as few slots as reach the balance and writes the next version; records
-never change their slot.
+every slot to a shard so that the shards' bytes are near equal. ``shard`` stores
+the map as version 1, or goes by the latest version where one is stored;
+``rebalance_stored`` moves as few slots as reach the balance and stores the next
+version. Records never change their slot.
 
 The slot comes from the id and the content together, so neither a null id nor
-one text that a third of all rows share can fill a slot. Defined cases: a null
-text has no bytes; a null id hashes like a value of its own; fully repeated rows
-share a slot; an empty table gives an empty result.
+one text that a third of all rows share can fill a slot: equal texts are spread
+over the shards on purpose, as bytes could not be near equal otherwise. Defined
+cases: a null text has no bytes; a null id hashes like a value of its own; fully
+repeated rows share a slot; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import heapq
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import settle
+from .common import settle, shared_dir
 
 SLOTS, OVERHEAD = 8192, 16
 
@@ -36,14 +39,14 @@ def slot_sums(records: DataFrame) -> DataFrame:
     return records.groupBy("slot_id").agg(F.sum("size").alias("bytes"), F.count(F.lit(1)).alias("rows"))
 
 
-def assign(sums: dict[int, int], shards: int) -> dict[int, int]:
-    """Largest slot first to the lightest shard, then swaps between the extremes."""
-    heap = [(0, k) for k in range(shards)]
+def assign(sums: dict[int, int], shards: int, slots: int = SLOTS) -> dict[int, int]:
+    """Every slot, largest first, to the lightest shard; empty ones too, as later rows may fall into them."""
+    heap = [(0, 0, k) for k in range(shards)]
     out = {}
-    for slot, n in sorted(sums.items(), key=lambda x: (-x[1], x[0])):
-        load, k = heapq.heappop(heap)
+    for slot in sorted({*sums, *range(slots)}, key=lambda s: (-sums.get(s, 0), s)):
+        load, held, k = heapq.heappop(heap)
         out[slot] = k
-        heapq.heappush(heap, (load + n, k))
+        heapq.heappush(heap, (load + sums.get(slot, 0), held + 1, k))
     return out
 
 
@@ -73,21 +76,54 @@ def rebalance(current: dict[int, int], sums: dict[int, int], shards: int, tolera
     return out
 
 
-def map_table(spark: SparkSession, mapping: dict[int, int], version: int) -> DataFrame:
-    """The slot-to-shard map of one version, to be appended to a table of all versions."""
-    return spark.createDataFrame([(version, s, k) for s, k in sorted(mapping.items())], "version int, slot_id int, shard int")
+def store_map(spark: SparkSession, path: str, mapping: dict[int, int], version: int) -> None:
+    """Writes one version of the slot-to-shard map; a version that is there already is never overwritten."""
+    spark.createDataFrame(sorted(mapping.items()), "slot_id int, shard int").coalesce(1).write.mode("error").parquet(f"{path}/version={version}")
 
 
-def shard(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text: str = "text", slots: int = SLOTS, mapping: dict[int, int] | None = None) -> DataFrame:
+def stored_maps(spark: SparkSession, path: str) -> DataFrame | None:
+    """(slot_id, shard, version) of all versions; None where none is stored."""
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):
+        return None
+    return spark.read.schema("slot_id int, shard int, version int").parquet(path)
+
+
+def latest_map(spark: SparkSession, path: str) -> tuple[int, dict[int, int]]:
+    """The newest version and its map; (0, {}) where none is stored. A map has as many rows as there are slots."""
+    maps = stored_maps(spark, path)
+    newest = maps.agg(F.max("version")).first()[0] if maps is not None else None
+    return (newest, {r.slot_id: r.shard for r in maps.where(F.col("version") == newest).collect()}) if newest else (0, {})
+
+
+def rebalance_stored(spark: SparkSession, path: str, records: DataFrame, shards: int, tolerance: float = 0.01) -> tuple[int, int]:
+    """Edits the stored map for the records (as ``measured``) as they are now, and stores it as the next version.
+
+    Returns the new version and how many slots moved.
+    """
+    version, current = latest_map(spark, path)
+    sums = {r["slot_id"]: r["bytes"] for r in slot_sums(records).collect()}
+    after = rebalance(current, {s: sums.get(s, 0) for s in {*sums, *current}}, shards, tolerance)
+    store_map(spark, path, after, version + 1)
+    return version + 1, sum(after[s] != k for s, k in current.items())
+
+
+def shard(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text: str = "text", slots: int = SLOTS, maps: str | None = None) -> DataFrame:
     """(id, size, text_crc32, slot_id, shard, place): place counts a shard's rows from 0 without gaps.
 
+    ``maps``: folder of the versioned map, whose latest version decides; without one, a
+    first version is made from these rows and stored there. By default that is a new folder of the shared one.
     The sums that reach the driver have at most ``slots`` rows. A place is the
     row's rank in its slot plus the rows of the shard's earlier slots.
     """
     spark = docs.sparkSession
     records = settle(measured(docs, id_col, text, slots))
     sums = {r["slot_id"]: (r["bytes"], r["rows"]) for r in slot_sums(records).collect()}
-    mapping = assign({s: b for s, (b, _) in sums.items()}, shards) if mapping is None else mapping
+    maps = maps or f"{shared_dir(spark)}/slot-map-{uuid.uuid4().hex}"
+    version, mapping = latest_map(spark, maps)
+    if not version:
+        mapping = assign({s: b for s, (b, _) in sums.items()}, shards, slots)
+        store_map(spark, maps, mapping, 1)
     before, at = {}, [0] * (max(mapping.values(), default=0) + 1)
     for s in sorted(sums):
         before[s] = at[mapping[s]]
