@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from vintage.llm import minhash_dedup, packing, quality_rules, toxicity
 from vintage.llm.common import shared_dir, table
+from vintage.sources.tables import delete, release, scratch
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,10 +49,17 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; what a stage returns is written as Parquet in the shared folder."""
+    """All stages over documents; what a stage returns is written as Parquet in the shared folder.
+
+    A stage's scratch tables, and the rows of the stage before, go once its own rows are written.
+    """
     docs = table(spark, sf_dir, "documents")
     base = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
     for k, (_, stage) in enumerate(STAGES):
+        since = len(scratch())
         stage(spark, docs, sf_dir).write.parquet(f"{base}/{k}")
         docs = spark.read.parquet(f"{base}/{k}")
+        release(spark, since)
+        if k:
+            delete(spark, f"{base}/{k - 1}")
     return docs
