@@ -11,7 +11,7 @@ from vintage.llm.words import shingle_sets
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
 
-def brute(texts):
+def brute(texts, percent=85):
     """{id: (size, component)} by comparing all pairs of sets of word tuples."""
     sets = {}
     for k, t in texts:
@@ -27,9 +27,9 @@ def brute(texts):
     for i, a in enumerate(ids):
         for b in ids[i + 1 :]:
             x, y = sets[a], sets[b]
-            if x and y and 100 * min(len(x), len(y)) >= 85 * max(len(x), len(y)):
+            if x and y and 100 * min(len(x), len(y)) >= percent * max(len(x), len(y)):
                 n = len(x & y)
-                if 100 * n >= 85 * (len(x) + len(y) - n):
+                if 100 * n >= percent * (len(x) + len(y) - n):
                     p, q = sorted((top(a), top(b)))
                     comp[q] = p
     return {k: (len(sets[k]), top(k)) for k in ids}
@@ -86,3 +86,15 @@ def test_estimates_follow_similarity():
 def test_common():
     sets = shingle_sets([b"a b c d e f g", b"b c d e f g h", b"x"])
     assert common(sets, sets).tolist() == [[len(np.intersect1d(x, y)) for y in sets] for x in sets]
+
+
+def test_blocks_are_bounded_by_words(spark, monkeypatch):
+    """The same classes where every block of a mixed bucket is cut to a few texts."""
+    rng = random.Random(17)
+    texts = family(rng, 30, 80, 3) + family(rng, 20, 400, 10)
+    rows = list(enumerate(texts))
+    want = brute(rows, 80)
+    for words in (1 << 19, 300):
+        monkeypatch.setattr("vintage.llm.minhash_dedup.BLOCK_WORDS", words)
+        got = near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), percent=80).collect()
+        assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == want

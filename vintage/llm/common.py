@@ -2,50 +2,15 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-_OWN_DIR: list[str] = []
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``.
-
-    Where the session names none, a local session (one machine) gets a temporary
-    folder and any other session the warehouse, which is shared by contract.
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-        if not _OWN_DIR:
-            _OWN_DIR.append(tempfile.mkdtemp(prefix="vintage-shared-"))
-            atexit.register(shutil.rmtree, _OWN_DIR[0], ignore_errors=True)
-        return f"file://{_OWN_DIR[0]}"
-    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/")
-
-
-def settle(df: DataFrame) -> DataFrame:
-    """Write a table to the shared folder and read it back, which cuts the lineage.
-
-    A lost executor then costs a file read, not the work before it.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/settled-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+from ..sources.tables import shared_dir, table  # noqa: F401
+from ..sources.tables import stored as settle  # noqa: F401
 
 
 def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:

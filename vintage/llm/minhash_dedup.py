@@ -27,11 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.components import connected_components
 from .common import settle, slices, texts_of
-from .components import connected_components
 from .words import MIX_1, mix, shingle_sets
 
 BANDS, ROWS, BITS = 24, 4, 4
+BLOCK_WORDS = 1 << 19
 PERMS = BANDS * ROWS
 #: Odd multipliers and offsets of the 96 permutations of 32-bit values, from a fixed seed.
 _RNG = np.random.default_rng(20240501)
@@ -170,13 +171,14 @@ def forest(links: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.n
 def _across(left: DataFrame, texts: DataFrame, percent: int, block: int) -> DataFrame:
     """Links (a, b) between members of one bucket that are in different components.
 
-    ``left``: (bucket, digest, sig, part), one row a member of a bucket that
+    ``left``: (bucket, digest, sig, part, size), one row a member of a bucket that
     still holds several components. Each pair of blocks of members is one group:
     estimates pick who may link, full sets decide, and what leaves the group is
     a spanning forest of its links, at most a row for each member.
     """
-    sizes = left.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"))
-    blocks = F.ceil(F.col("m") / block).cast("int")
+    # A block holds at most about ``block`` members and BLOCK_WORDS words, so long texts make small blocks.
+    sizes = left.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"), F.sum("size").alias("words"))
+    blocks = F.greatest(F.ceil(F.col("m") / block), F.ceil(F.col("words") / BLOCK_WORDS)).cast("int")
     dealt = left.join(sizes, "bucket").withColumn("blocks", blocks).withColumn("mine", F.pmod(F.xxhash64("digest"), "blocks").cast("int"))
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("bucket", "digest", "sig", "part", "mine", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"))
@@ -212,8 +214,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     """(id, n_shingles, component_id, kept) for each row; links need 100 * intersection >= percent * union."""
     rows = settle(signatures(docs, id_col, text))
     full = rows.where(F.col("sig").isNotNull() & F.col("id").isNotNull())
-    reps = full.groupBy("digest").agg(F.min("id").alias("rep"), F.first("bands").alias("bands"), F.first("sig").alias("sig"))
-    hits = reps.select("digest", "sig", F.explode("bands").alias("bucket"))
+    reps = full.groupBy("digest").agg(F.min("id").alias("rep"), F.first("bands").alias("bands"), F.first("sig").alias("sig"), F.first("n_shingles").alias("size"))
+    hits = reps.select("digest", "sig", "size", F.explode("bands").alias("bucket"))
     shared = hits.groupBy("bucket").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
     members = settle(hits.join(shared, "bucket"))
     degree = members.groupBy("digest").agg(F.sum("m").alias("degree"))
@@ -225,7 +227,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     links = settle(confirm(close, texts, percent))
     comp = connected_components(links, "a", "b", contract=True)
     part = F.coalesce("component", "digest")
-    placed = members.join(comp.withColumnRenamed("node", "digest"), "digest", "left").select("bucket", "digest", "sig", part.alias("part"))
+    placed = members.join(comp.withColumnRenamed("node", "digest"), "digest", "left").select("bucket", "digest", "sig", "size", part.alias("part"))
     several = placed.groupBy("bucket").agg(F.min("part").alias("p"), F.max("part").alias("q"), F.count(F.lit(1)).alias("m"))
     # A bucket of two has been compared in full already.
     mixed = placed.join(several.where("p != q and m > 2").select("bucket"), "bucket", "left_semi")
