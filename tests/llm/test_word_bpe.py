@@ -3,7 +3,7 @@ import hashlib
 import pytest
 
 from vintage.llm import bpe, queries
-from vintage.llm.word_bpe import VOCABULARY, decode, digests, encode
+from vintage.llm.word_bpe import VOCABULARY, decode, decoded_digests, encode
 
 HARD = [None, "", " ", "a", "it's don't  we'll\n\n x", "été ²³ ½ 12_34 __ \x1c\x1d z\x85 \xa0 end", "日本語 текст ١٢٣ \U0001f600 ok‍", "　 x   y", "a" * 30_000 + " " * 500, "tab\tx \r\n y"]
 
@@ -25,7 +25,7 @@ def test_split_agrees_with_the_library_on_every_character():
 
 def test_hard_texts(spark):
     rows = [(k, t, "x") for k, t in enumerate(HARD)] + [(3, HARD[3], "x"), (None, "no id", "x")]
-    got = digests(decode(encode(spark.createDataFrame(rows, "doc_id long, text string, ids string").repartition(3)))).collect()
+    got = decoded_digests(encode(spark.createDataFrame(rows, "doc_id long, text string, ids string").repartition(3))).collect()
     want = sorted(((k, *expected(t)) for k, t, _ in rows), key=str)
     assert sorted((tuple(r) for r in got), key=str) == want
 

@@ -58,9 +58,9 @@ def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_word_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from .word_bpe import decode, digests, encode
+    from .word_bpe import decoded_digests, encode
 
-    return digests(decode(encode(table(spark, sf_dir, "documents"), plain_scan=True)))
+    return decoded_digests(encode(table(spark, sf_dir, "documents"), plain_scan=True))
 
 
 def op4_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:

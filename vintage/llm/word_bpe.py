@@ -136,7 +136,7 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text: str = "text", vocabula
 
     def encode_words(batches):
         ranks = encoding(vocabulary_path(vocabulary))
-        seen = WordCache(lambda w: np.array(ranks.encode_ordinary(w.decode("utf-8")), np.uint32).tobytes(), 500_000)
+        seen = WordCache(lambda w: np.array(ranks.encode_ordinary(w.decode("utf-8")), np.uint32).tobytes(), 200_000)
         for b in batches:
             lens, lows, highs = [], [], []
             for packed, sizes in zip(b.column("words").to_pylist(), b.column("lens").to_pylist(), strict=True):
@@ -169,53 +169,57 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text: str = "text", vocabula
     return encoded.groupBy("chunk").cogroup(places.groupBy("chunk")).applyInArrow(assemble, f"id {kind}, ids array<int>").withColumnRenamed("id", id_col)
 
 
+def _decoding(batches, ids: str, vocabulary: str):
+    table = token_bytes(vocabulary_path(vocabulary))
+    flat = np.frombuffer(b"".join(table), np.uint8)
+    lens = np.array([len(x) for x in table] + [0], np.int64)
+    starts = np.cumsum(lens) - lens
+    for whole in batches:
+        for k in range(0, whole.num_rows, 256):
+            b = whole.slice(k, 256)
+            col = b.column(ids)
+            values = col.flatten().to_numpy().astype(np.int64)
+            values = np.where((values >= 0) & (values < len(table)), values, len(table))
+            n = lens[values]
+            body = ragged(flat, starts[values], n).tobytes()
+            ends = np.concatenate([[0], np.cumsum(n)])
+            sizes = np.array([0 if x is None else x for x in pa.compute.list_value_length(col).to_pylist()], np.int64)
+            at = ends[np.concatenate([[0], np.cumsum(sizes)])]
+            decoded = pa.array([body[s:e] for s, e in zip(at[:-1], at[1:], strict=True)], pa.binary())
+            yield pa.RecordBatch.from_arrays([*b.columns, decoded], [*b.schema.names, "decoded"])
+
+
+def _digesting(batches, id_col: str):
+    import hashlib
+
+    text = [b"%d" % k for k in range(1 << 16)]
+    lens = np.array([len(x) + 1 for x in text], np.int64)
+    flat = np.frombuffer(b",".join([*text, b""]), np.uint8)
+    starts = np.cumsum(lens) - lens
+    for whole in batches:
+        for k in range(0, whole.num_rows, 256):
+            b = whole.slice(k, 256)
+            col = b.column("ids")
+            values = col.flatten().to_numpy().astype(np.int64)
+            n = lens[values]
+            body = ragged(flat, starts[values], n).tobytes()
+            sizes = np.array(pa.compute.list_value_length(col).to_pylist(), np.int64)
+            at = np.concatenate([[0], np.cumsum(n)])[np.concatenate([[0], np.cumsum(sizes)])]
+            of_ids = [hashlib.sha256(body[s : max(s, e - 1)]).hexdigest() for s, e in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+            of_text = [hashlib.sha256(x).hexdigest() for x in b.column("decoded").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(id_col), pa.array(sizes), pa.array(of_ids), pa.array(of_text)], [id_col, "n_tokens", "ids_sha256", "decoded_sha256"])
+
+
 def decode(encoded: DataFrame, ids: str = "ids", vocabulary: str = VOCABULARY) -> DataFrame:
     """The rows with ``decoded``, the bytes of their ids."""
+    fields = [*(f"`{f.name}` {f.dataType.simpleString()}" for f in encoded.schema.fields), "decoded binary"]
+    return encoded.mapInArrow(lambda batches: _decoding(batches, ids, vocabulary), ", ".join(fields))
 
-    def run(batches):
-        table = token_bytes(vocabulary_path(vocabulary))
-        flat = np.frombuffer(b"".join(table), np.uint8)
-        lens = np.array([len(x) for x in table] + [0], np.int64)
-        starts = np.cumsum(lens) - lens
-        for whole in batches:
-            for k in range(0, whole.num_rows, 256):
-                b = whole.slice(k, 256)
-                col = b.column(ids)
-                values = col.flatten().to_numpy().astype(np.int64)
-                values = np.where((values >= 0) & (values < len(table)), values, len(table))
-                n = lens[values]
-                body = ragged(flat, starts[values], n).tobytes()
-                ends = np.concatenate([[0], np.cumsum(n)])
-                sizes = np.array([0 if x is None else x for x in pa.compute.list_value_length(col).to_pylist()], np.int64)
-                at = ends[np.concatenate([[0], np.cumsum(sizes)])]
-                decoded = pa.array([body[s:e] for s, e in zip(at[:-1], at[1:], strict=True)], pa.binary())
-                yield pa.RecordBatch.from_arrays([*b.columns, decoded], [*b.schema.names, "decoded"])
-
-    return encoded.mapInArrow(run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in encoded.schema.fields), "decoded binary"]))
-
-
-def digests(decoded: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """(id, n_tokens, ids_sha256, decoded_sha256)."""
-    import hashlib
 
-    kind = dict(decoded.dtypes)[id_col]
-
-    def run(batches):
-        text = [b"%d" % k for k in range(1 << 16)]
-        lens = np.array([len(x) + 1 for x in text], np.int64)
-        flat = np.frombuffer(b",".join([*text, b""]), np.uint8)
-        starts = np.cumsum(lens) - lens
-        for whole in batches:
-            for k in range(0, whole.num_rows, 256):
-                b = whole.slice(k, 256)
-                col = b.column("ids")
-                values = col.flatten().to_numpy().astype(np.int64)
-                n = lens[values]
-                body = ragged(flat, starts[values], n).tobytes()
-                sizes = np.array(pa.compute.list_value_length(col).to_pylist(), np.int64)
-                at = np.concatenate([[0], np.cumsum(n)])[np.concatenate([[0], np.cumsum(sizes)])]
-                of_ids = [hashlib.sha256(body[s : max(s, e - 1)]).hexdigest() for s, e in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
-                of_text = [hashlib.sha256(x).hexdigest() for x in b.column("decoded").to_pylist()]
-                yield pa.RecordBatch.from_arrays([b.column(id_col), pa.array(sizes), pa.array(of_ids), pa.array(of_text)], [id_col, "n_tokens", "ids_sha256", "decoded_sha256"])
-
-    return decoded.mapInArrow(run, f"{id_col} {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+def decoded_digests(encoded: DataFrame, id_col: str = "doc_id", vocabulary: str = VOCABULARY) -> DataFrame:
+    """(id, n_tokens, ids_sha256, decoded_sha256) of rows (id, ids) and what they decode to.
+
+    Decoding and digesting share one Python worker: decoded texts go no further than it.
+    """
+    kind = dict(encoded.dtypes)[id_col]
+    return encoded.mapInArrow(lambda batches: _digesting(_decoding(batches, "ids", vocabulary), id_col), f"{id_col} {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
