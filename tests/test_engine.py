@@ -128,6 +128,14 @@ def test_late_rows_are_counted(spark, tmp_path):
     assert {r.start.day: r.n for r in spark.table("late").collect()}.get(1) == 1
 
 
+def test_costs_of_a_run(spark):
+    from vintage.operators.costs import run_cost
+
+    cost = run_cost(lambda: spark.range(100_000).repartition(4, "id"), spark)
+    assert cost.seconds > 0 and cost.shuffle_bytes > 100_000
+    assert run_cost(lambda: spark.range(10), spark).shuffle_bytes == 0
+
+
 def test_scratch_is_released(spark):
     from pathlib import Path
 

@@ -255,6 +255,19 @@ def test_leak_of_runs_that_several_pages_hold(spark):
     assert {r.page_id: (r.runs, r.sources, r.weight) for r in got.collect()} == {4: (5, 2, 4.5), 5: (1, 2, 0.5)}
 
 
+def test_content_filter_takes_lists_and_learned_words(spark):
+    texts = ["you Flurb!", "a flurb b", "flurb c", "nice day", "clean x", "see our Privacy Policy", "f() { }", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    labels = spark.createDataFrame([(0, 1), (1, 1), (2, 1), (2, 1), (3, 0), (4, 0), (9, 1), (5, None)], "doc_id long, toxic int")
+    words = corpora.unwanted_words(docs, labels)
+    assert [r.word for r in words.collect()] == ["flurb"]
+    want = {0: "words", 1: "words", 2: "words", 3: None, 4: None, 5: "boilerplate", 6: "code", 7: None}
+    for given in (words, ["flurb"]):
+        assert {r.doc_id: r.reason for r in corpora.content_filter(docs, given).collect()} == want
+    got = corpora.content_filter(docs, [], ["nice"], ["x"]).where("reason is not null")
+    assert {r.doc_id: r.reason for r in got.collect()} == {3: "boilerplate", 4: "code"}
+
+
 def packed_of(spark, rows):
     return spark.createDataFrame(rows, "topic_id long, toks array<string>, tail string, edits array<struct<month:int,pos:int,token:string>>")
 

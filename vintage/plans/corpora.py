@@ -67,13 +67,49 @@ def from_domain(pages: DataFrame, suffix: str, url: str = "url") -> DataFrame:
     return pages.where(is_under(host_of(F.col(url)), [suffix]))
 
 
-def content_filter(docs: DataFrame, words: list[str]) -> DataFrame:
-    """Documents with ``reason``: unwanted word, boilerplate, code, or null where none holds."""
-    toks = tokens(F.col("text"))
-    unwanted = F.arrays_overlap(F.transform(toks, lambda w: F.regexp_replace(w, "[^a-z]", "")), F.array(*map(F.lit, words)))
-    boilerplate = F.lower("text").rlike("lorem ipsum|terms of use|cookie policy|privacy policy|javascript must be enabled")
-    code = F.col("text").contains("{") | F.col("text").contains("};")
-    return docs.withColumn("reason", F.when(unwanted, "words").when(boilerplate, "boilerplate").when(code, "code"))
+#: Phrases of templates that stand in for text, and marks that prose doesn't hold.
+BOILERPLATE = ["lorem ipsum", "terms of use", "cookie policy", "privacy policy", "javascript must be enabled", "all rights reserved", "404 not found"]
+CODE = ["{", "};"]
+#: Words that a filter may carry to every task.
+MOST_WORDS = 10_000
+
+
+def _letters(toks: Column) -> Column:
+    return F.transform(toks, lambda w: F.regexp_replace(w, "[^a-z]", ""))
+
+
+def content_filter(docs: DataFrame, words: list[str] | DataFrame, phrases: list[str] | None = None, code: list[str] | None = None) -> DataFrame:
+    """Documents with ``reason``: unwanted word, boilerplate, code, or null where none holds.
+
+    ``words``: a list, or a table (word) of at most MOST_WORDS rows, for example a
+    file of a word a line or what ``unwanted_words`` learns.
+    """
+    hold = F.lit(False)
+    for phrase in BOILERPLATE if phrases is None else phrases:
+        hold = hold | F.col("_low").contains(phrase)
+    marks = F.lit(False)
+    for mark in CODE if code is None else code:
+        marks = marks | F.col("text").contains(mark)
+    if isinstance(words, DataFrame):
+        if words.limit(MOST_WORDS + 1).count() > MOST_WORDS:
+            raise ValueError(f"more than {MOST_WORDS} unwanted words")
+        listed = docs.crossJoin(F.broadcast(words.agg(F.collect_set("word").alias("_words"))))  # one row
+    else:
+        listed = docs.withColumn("_words", F.array(*map(F.lit, words)).cast("array<string>"))
+    unwanted = F.arrays_overlap(_letters(tokens(F.col("text"))), F.col("_words"))
+    flagged = listed.withColumn("_low", F.lower("text")).withColumn("reason", F.when(unwanted, "words").when(hold, "boilerplate").when(marks, "code"))
+    return flagged.drop("_low", "_words")
+
+
+def unwanted_words(docs: DataFrame, labels: DataFrame, least: int = 3, times: int = 10) -> DataFrame:
+    """(word): words of at least three letters that stand in ``least`` or more unwanted documents and in ``times`` as few wanted ones.
+
+    ``labels``: (doc_id, toxic). Counted over all labelled documents, a document once for each word.
+    """
+    met = docs.join(labels.where("toxic is not null").select("doc_id", "toxic").distinct(), "doc_id")
+    each = met.select("toxic", F.explode(F.array_distinct(_letters(tokens(F.col("text"))))).alias("word")).where(F.char_length("word") >= 3)
+    counts = each.groupBy("word").agg(F.count_if(F.col("toxic") == 1).alias("bad"), F.count_if(F.col("toxic") == 0).alias("good"))
+    return counts.where((F.col("bad") >= least) & (F.col("bad") >= times * F.col("good"))).select("word")
 
 
 def upsample(docs: DataFrame, k: int) -> DataFrame:

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import shifted
+from ..sources.tables import stored
 
 #: Interpolation weight and vocabulary size of the model.
 LAMBDA, VOCABULARY = 0.6, 50_000
@@ -61,23 +62,29 @@ class Model:
 
 
 def train(grams: DataFrame, mixes: list[str], only: DataFrame | None = None) -> Model:
-    """A model for each weight column. ``only`` holds the probes' grams: what no
-    probe asks for is dropped before the shuffle, which then follows the probes."""
+    """A model for each weight column, in one pass over the grams. ``only`` holds the
+    probes' grams: what no probe asks for becomes one row a task before the shuffle,
+    whose size then follows the probes, and still counts towards the totals."""
     sums = [F.sum(m).alias(m) for m in mixes]
-    totals = grams.agg(*sums)
     kept = grams if only is None else _pruned(grams, only)
-    return Model(kept.groupBy("a", "b", "c").agg(*sums), totals, mixes)
+    counts = stored(kept.groupBy("a", "b", "c").agg(*sums))
+    return Model(counts, counts.agg(*sums), mixes)
 
 
 def _pruned(grams: DataFrame, only: DataFrame) -> DataFrame:
-    asked = only.select("a", "b", "c").distinct()
+    """The grams with every part that no probe asks for set to null."""
+    asked = stored(only.select("a", "b", "c").distinct())
     small = asked.count() <= BROADCAST_GRAMS
     as_is = F.broadcast if small else (lambda df: df)
-    one = as_is(asked.select("c").distinct())
+    one = as_is(asked.select("c").distinct().withColumn("_1", F.lit(True)))
     two = as_is(asked.where("b is not null").select("b", "c").distinct().withColumn("_2", F.lit(True)))
-    three = as_is(asked.where("a is not null").select("a", "b", "c").withColumn("_3", F.lit(True)))
-    out = grams.join(one, "c", "left_semi").join(two, ["b", "c"], "left").join(three, ["a", "b", "c"], "left")
-    return out.withColumn("a", F.when(F.col("_3"), F.col("a"))).withColumn("b", F.when(F.col("_2"), F.col("b")))
+    out = grams.join(one, "c", "left").join(two, ["b", "c"], "left")
+    a = F.lit(None).cast("string")
+    if not asked.where("a is not null").isEmpty():
+        three = as_is(asked.where("a is not null").select("a", "b", "c").withColumn("_3", F.lit(True)))
+        out, a = out.join(three, ["a", "b", "c"], "left"), F.when(F.col("_3"), F.col("a"))
+    weights = [c for c in grams.columns if c not in ("a", "b", "c")]
+    return out.select(a.alias("a"), F.when(F.col("_2"), F.col("b")).alias("b"), F.when(F.col("_1"), F.col("c")).alias("c"), *weights)
 
 
 def score(model: Model, probes: DataFrame, order: int, lam: float = LAMBDA, vocabulary: int = VOCABULARY) -> DataFrame:

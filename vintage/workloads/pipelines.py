@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.text import tokens
 from ..plans import audit, corpora
-from ..sources.tables import host_of, is_under, table, text_of_html
+from ..sources.tables import host_of, is_under, stored, table, text_of_html
 from . import setup as s
 
 #: Fixed list: English words that the content filter doesn't want.
@@ -51,13 +51,24 @@ def from_domain(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpora.from_domain(table(spark, sf_dir, "pages", "page_id", "url"), "example.net").select("page_id")
 
 
-def content_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """What the content filter drops, beside the labels."""
-    flagged = corpora.content_filter(_docs(spark, sf_dir), UNWANTED).select("doc_id", F.coalesce("reason", F.lit("kept")).alias("reason"))
-    met = flagged.join(table(spark, sf_dir, "labels", "doc_id", "quality", "toxic"), "doc_id", "left")
+def _reasons(flagged: DataFrame, spark: SparkSession, sf_dir: str) -> DataFrame:
+    named = flagged.select("doc_id", F.coalesce("reason", F.lit("kept")).alias("reason"))
+    met = named.join(table(spark, sf_dir, "labels", "doc_id", "quality", "toxic"), "doc_id", "left")
     return met.groupBy("reason", F.col("toxic").cast("double").alias("toxic")).agg(F.count(F.lit(1)).alias("documents"))
 
 
+def content_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the content filter drops by a fixed list of words, beside the labels."""
+    return _reasons(corpora.content_filter(_docs(spark, sf_dir), UNWANTED), spark, sf_dir)
+
+
+def content_filter_learned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by words learned from the labelled documents, in whatever language they are."""
+    docs = _docs(spark, sf_dir)
+    words = stored(corpora.unwanted_words(docs, table(spark, sf_dir, "labels", "doc_id", "toxic")))
+    return _reasons(corpora.content_filter(docs, words), spark, sf_dir)
+
+
 def mixture_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A mixture of sources, pages and an up-sampled resource: documents, words and weighted words by part."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text", "source")
@@ -140,7 +151,7 @@ def page_hosts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pages.groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
 
 
-QUERIES = {f.__name__: f for f in (dedup_docs, dedup_canonical, dedup_spans, dedup_paras, dedup_fuzzy, exclude_hosts, from_domain, content_filter, mixture_stats, public_sample, crawl_chunks, twins_space, twins_digits, span3_survivors, para_survivors, exact_survivors, corpus_volume, domain_leak, domain_leak_matches, pages_text, page_hosts)}
+QUERIES = {f.__name__: f for f in (dedup_docs, dedup_canonical, dedup_spans, dedup_paras, dedup_fuzzy, exclude_hosts, from_domain, content_filter, content_filter_learned, mixture_stats, public_sample, crawl_chunks, twins_space, twins_digits, span3_survivors, para_survivors, exact_survivors, corpus_volume, domain_leak, domain_leak_matches, pages_text, page_hosts)}
 
 # --- SQL -------------------------------------------------------------------
 
@@ -173,6 +184,15 @@ _FUZZY = f"""WITH RECURSIVE docs AS (SELECT doc_id, {_TOKS('text')} AS w FROM do
  sides AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links), reach(a, b) AS (SELECT a, b FROM sides UNION SELECT r.a, e.b FROM reach r JOIN sides e ON e.a = r.b), least AS (SELECT a, least(a, min(b)) AS c FROM reach GROUP BY a)
  SELECT doc_id, CASE WHEN len(w) = 0 THEN doc_id ELSE coalesce(c, rep) END AS component FROM docs JOIN texts USING (w) LEFT JOIN least ON least.a = rep"""
 _WORDS = ", ".join(f"'{w}'" for w in UNWANTED)
+_PHRASES = " OR ".join(f"contains(lower(text), '{p}')" for p in corpora.BOILERPLATE)
+_MARKS = " OR ".join(f"contains(text, '{m}')" for m in corpora.CODE)
+
+
+def _filter_sql(words: str, before: str = "") -> str:
+    letters = f"list_transform({_TOKS('text')}, lambda w: regexp_replace(w, '[^a-z]', '', 'g'))"
+    return f"WITH {before} flagged AS (SELECT doc_id, CASE WHEN list_has_any({letters}, {words}) THEN 'words' WHEN {_PHRASES} THEN 'boilerplate' WHEN {_MARKS} THEN 'code' ELSE 'kept' END AS reason FROM documents) SELECT reason, CAST(toxic AS DOUBLE) AS toxic, count(*) AS documents FROM flagged LEFT JOIN labels USING (doc_id) GROUP BY 1, 2"
+
+
 ORACLE_SQL = {
     "dedup_docs": "SELECT min(doc_id) AS doc_id FROM documents GROUP BY text",
     "dedup_canonical": f"SELECT min(doc_id) AS doc_id FROM documents GROUP BY {s.sql_canonical('text')}",
@@ -181,7 +201,8 @@ ORACLE_SQL = {
     "dedup_fuzzy": _FUZZY,
     "exclude_hosts": f"SELECT page_id, {_HOST} AS host FROM pages WHERE NOT {_UNDER('example.org')}",
     "from_domain": f"SELECT page_id FROM pages WHERE {_UNDER('example.net')}",
-    "content_filter": f"""WITH flagged AS (SELECT doc_id, CASE WHEN list_has_any(list_transform({_TOKS('text')}, lambda w: regexp_replace(w, '[^a-z]', '', 'g')), [{_WORDS}]) THEN 'words' WHEN regexp_matches(lower(text), 'lorem ipsum|terms of use|cookie policy|privacy policy|javascript must be enabled') THEN 'boilerplate' WHEN contains(text, '{{') OR contains(text, '}};') THEN 'code' ELSE 'kept' END AS reason FROM documents) SELECT reason, CAST(toxic AS DOUBLE) AS toxic, count(*) AS documents FROM flagged LEFT JOIN labels USING (doc_id) GROUP BY 1, 2""",
+    "content_filter": _filter_sql(f"[{_WORDS}]"),
+    "content_filter_learned": _filter_sql("(SELECT list(word) FROM learned)", f"labelled AS (SELECT doc_id, toxic, {_TOKS('text')} AS toks FROM documents JOIN (SELECT DISTINCT doc_id, toxic FROM labels WHERE toxic IS NOT NULL) USING (doc_id)), seen AS (SELECT DISTINCT doc_id, toxic, regexp_replace(unnest(toks), '[^a-z]', '', 'g') AS word FROM labelled), learned AS (SELECT word FROM seen WHERE length(word) >= 3 GROUP BY 1 HAVING count(*) FILTER (toxic = 1) >= 3 AND count(*) FILTER (toxic = 1) >= 10 * count(*) FILTER (toxic = 0)),"),
     "mixture_stats": f"WITH m AS (SELECT CASE WHEN source = 'src0' THEN 'dump' ELSE 'crawl' END AS subcorpus, CASE WHEN source = 'src0' THEN 3 ELSE 1 END AS weight, {_TOKS('text')} AS toks FROM documents UNION ALL SELECT 'static', 1, {_TOKS('text')} FROM benchmark) SELECT subcorpus, count(*) AS documents, CAST(sum(len(toks)) AS BIGINT) AS words, CAST(sum(len(toks) * weight) AS BIGINT) AS weighted FROM m GROUP BY 1",
     "public_sample": f"SELECT doc_id FROM documents WHERE {_CLASS(100)} < 12",
     "crawl_chunks": f"SELECT {_CLASS(367)} AS chunk, count(*) AS documents FROM documents WHERE {_CLASS(367)} < 22 GROUP BY 1",

@@ -20,8 +20,8 @@ def _rounded(df: DataFrame, *cols: str) -> DataFrame:
 
 def ev_versions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every distinct version of every topic, by its months and a digest of its words."""
-    _, intervals = s.topic_intervals(spark, sf_dir)
-    return probes.version_texts(intervals).select("topic_id", "version_from", "version_to", F.md5(F.col("text").cast("binary")).alias("digest"))
+    packed = probes.packed_set(table(spark, sf_dir, "documents", "doc_id", "text"), s.edits(spark, sf_dir), s.chosen_topics(spark, sf_dir), s.TOPIC_TOKENS)
+    return probes.whole_versions(packed.withColumn("tail", F.lit(""))).select("topic_id", "version_from", "version_to", F.md5(F.col("text").cast("binary")).alias("digest"))
 
 
 def ev_topics(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.text import ACCENTED, PLAIN, tokens
 from ..functions.timegrid import LAST_MONTH, months
 from ..plans import ngram_lm, probes
-from ..sources.tables import table
+from ..sources.tables import stored, table
 
 TOPICS, TOPIC_TOKENS, DATED_TOKENS, PER_BUCKET, TRAINED_UNTIL = 5000, 512, 256, 500, 48
 
@@ -54,7 +54,7 @@ def corpus_grams(spark: SparkSession, sf_dir: str, chosen: DataFrame, grams: Dat
 def topic_perplexity(spark: SparkSession, sf_dir: str, mixes: list[str], order: int = 2, pruned: bool = False, k: int = TOPICS) -> DataFrame:
     """(model, topic_id, month_ix, ppl) of every topic in every month under each mix."""
     chosen, intervals = topic_intervals(spark, sf_dir, k)
-    grams = ngram_lm.grams_of_intervals(intervals, order)
+    grams = stored(ngram_lm.grams_of_intervals(intervals, order))  # trained on and scored
     some = {m: MIXES[m] for m in mixes}
     model = ngram_lm.train(corpus_grams(spark, sf_dir, chosen, grams, some), list(some), grams if pruned else None)
     return ngram_lm.monthly_perplexity(ngram_lm.score(model, grams, order), months(spark), list(some))
