@@ -56,7 +56,7 @@ def dt_cutoff_rise(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curves.effective_cutoff(curve, "rise")
 
 
-def _curve(spark, sf_dir, mixes, order=2, pruned=False):
+def _curve(spark, sf_dir, mixes, order=2, pruned=True):
     return curves.relative(curves.trimmed_mean(s.topic_perplexity(spark, sf_dir, mixes, order, pruned)))
 
 
@@ -65,6 +65,11 @@ def ev_curve_curated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(_curve(spark, sf_dir, ["curated"]), "ppl", "rel")
 
 
+def ev_curve_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """As the curated curve, from counts of all grams of the corpus instead of the probes' grams; the numbers are the same."""
+    return _rounded(_curve(spark, sf_dir, ["curated"], pruned=False), "ppl", "rel")
+
+
 def ev_curve_webonly(spark: SparkSession, sf_dir: str) -> DataFrame:
     """No dump at all, only copies: a minimum all the same."""
     return _rounded(_curve(spark, sf_dir, ["webonly"]), "ppl", "rel")
@@ -80,8 +85,8 @@ def ev_curve_order3(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def ev_curve_pruned(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """As the curated curve, with counts of the probes' grams only; the numbers are the same."""
-    return _rounded(_curve(spark, sf_dir, ["curated"], pruned=True), "ppl", "rel")
+    """Order 3 with counts of the probes' grams only."""
+    return _rounded(_curve(spark, sf_dir, ["curated"], order=3, pruned=True), "ppl", "rel")
 
 
 def ev_effective_cutoffs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -129,9 +134,9 @@ def scale_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixes = {"curated": s.MIXES["curated"]}
     parts = []
     for order, eighths in ((1, 8), (2, 8), (3, 8), (2, 4), (2, 2), (2, 1)):
-        grams = ngram_lm.grams_of_intervals(intervals, order)
+        grams = stored(ngram_lm.grams_of_intervals(intervals, order))
         part = (lambda e: lambda x: F.col(x) % 8 < e)(eighths) if eighths < 8 else None
-        model = ngram_lm.train(s.corpus_grams(spark, sf_dir, chosen, grams, mixes, part), ["curated"])
+        model = ngram_lm.train(s.corpus_grams(spark, sf_dir, chosen, grams, mixes, part), ["curated"], grams)
         ppl = ngram_lm.monthly_perplexity(ngram_lm.score(model, grams, order), months(spark), ["curated"])
         parts.append(ppl.withColumn("model", F.lit(f"order{order}_{eighths}of8")))
     curve = curves.relative(curves.trimmed_mean(ablate.union(parts)))
@@ -167,7 +172,7 @@ DENSITIES = {"every": 1, "second": 2, "fourth": 4}
 def dedup_vs_upsampled(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Only the dump's weight changes (3 or 1), with old copies of every, every 2nd and every 4th topic."""
     chosen, intervals = s.topic_intervals(spark, sf_dir)
-    grams = ngram_lm.grams_of_intervals(intervals, 2)
+    grams = stored(ngram_lm.grams_of_intervals(intervals, 2))
     names, weights = [], []
     for name, d in DENSITIES.items():
         for w in (3, 1):
@@ -176,7 +181,7 @@ def dedup_vs_upsampled(spark: SparkSession, sf_dir: str) -> DataFrame:
             weights.append((ngram_lm.planted_weight({60: w}) + old).cast("long").alias(names[-1]))
     docs = table(spark, sf_dir, "documents", "doc_id", "text").join(chosen.select(F.col("topic_id").alias("doc_id")), "doc_id", "left_anti")
     background = ngram_lm.grams_of_arrays(docs.select(tokens(F.col("text")).alias("toks")), "toks").select("a", "b", "c", *(F.lit(1).cast("long").alias(m) for m in names))
-    model = ngram_lm.train(background.union(grams.select("a", "b", "c", *weights)), names)
+    model = ngram_lm.train(background.union(grams.select("a", "b", "c", *weights)), names, grams)
     curve = stored(curves.relative(curves.trimmed_mean(ngram_lm.monthly_perplexity(ngram_lm.score(model, grams, 2), months(spark), names))))
     return curves.effective_cutoff(curve).join(curves.sharpness(curve), "model")
 
@@ -191,7 +196,7 @@ def static_control(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(curve, "ppl", "rel")
 
 
-QUERIES = {f.__name__: f for f in (ev_topics, ev_versions, dt_buckets, dt_curve, dt_cutoff_rise, ev_curve_curated, ev_curve_webonly, ev_curve_multidump, ev_curve_order3, ev_curve_pruned, ev_effective_cutoffs, ev_cutoff_spread, ev_single_topic, ev_absolute, trimmed_vs_mean, scale_ablation, docs_ablation, docs_stability, trimmed_approx, dedup_vs_upsampled, static_control)}
+QUERIES = {f.__name__: f for f in (ev_topics, ev_versions, dt_buckets, dt_curve, dt_cutoff_rise, ev_curve_curated, ev_curve_whole, ev_curve_webonly, ev_curve_multidump, ev_curve_order3, ev_curve_pruned, ev_effective_cutoffs, ev_cutoff_spread, ev_single_topic, ev_absolute, trimmed_vs_mean, scale_ablation, docs_ablation, docs_stability, trimmed_approx, dedup_vs_upsampled, static_control)}
 
 # --- SQL -------------------------------------------------------------------
 
@@ -245,7 +250,8 @@ ORACLE_SQL = {
     "ev_curve_webonly": f"{_sql(['webonly'])} {_CURVE}",
     "ev_curve_multidump": f"{_sql(['multidump_early', 'multidump_mid', 'multidump_late'])} {_CURVE}",
     "ev_curve_order3": f"{_sql(['multidump_mid'], 3)} {_CURVE}",
-    "ev_curve_pruned": f"{_sql(['curated'])} {_CURVE}",
+    "ev_curve_pruned": f"{_sql(['curated'], 3)} {_CURVE}",
+    "ev_curve_whole": f"{_sql(['curated'])} {_CURVE}",
     "ev_effective_cutoffs": f"{_sql(list(s.MIXES))}, {s.SQL_ARGMIN}, cards AS ({_STATED}) SELECT a.model, a.cutoff, CAST(stated AS DOUBLE) AS stated, CAST(a.cutoff - stated AS DOUBLE) AS gap, width FROM argmins a JOIN cards c ON c.model = a.model JOIN (SELECT model, count(*) FILTER (rel <= 0.05) AS width FROM curve GROUP BY 1) w ON w.model = a.model",
     "ev_cutoff_spread": f"{_sql(['curated', 'webonly'])}, shares AS (SELECT *, exp(-rel / 0.05) / sum(exp(-rel / 0.05)) OVER (PARTITION BY model) AS weight FROM curve) SELECT model, string_agg(CASE WHEN rel <= 0.05 THEN CAST(month_ix AS VARCHAR) END, ',' ORDER BY month_ix) AS months, round(max(weight), 4) AS top_weight, round(sum(weight), 4) AS total FROM shares GROUP BY 1",
     "ev_single_topic": f"{_sql(['curated'])} SELECT model, topic_id, month_ix, round(ppl, 4) AS ppl FROM ppl WHERE topic_id = (SELECT min(topic_id) FROM topics)",

@@ -51,7 +51,7 @@ def corpus_grams(spark: SparkSession, sf_dir: str, chosen: DataFrame, grams: Dat
     return background.union(grams.select("a", "b", "c", *(ngram_lm.planted_weight(at).alias(m) for m, at in mixes.items())))
 
 
-def topic_perplexity(spark: SparkSession, sf_dir: str, mixes: list[str], order: int = 2, pruned: bool = False, k: int = TOPICS) -> DataFrame:
+def topic_perplexity(spark: SparkSession, sf_dir: str, mixes: list[str], order: int = 2, pruned: bool = True, k: int = TOPICS) -> DataFrame:
     """(model, topic_id, month_ix, ppl) of every topic in every month under each mix."""
     chosen, intervals = topic_intervals(spark, sf_dir, k)
     grams = stored(ngram_lm.grams_of_intervals(intervals, order))  # trained on and scored
