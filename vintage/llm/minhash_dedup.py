@@ -113,10 +113,10 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> D
     return lean.mapInArrow(run, f"id {kind}, digest string, n_shingles long, bands array<long>, sig binary")
 
 
-def texts_by_digest(docs: DataFrame, digests: DataFrame, text: str) -> DataFrame:
-    """(digest, text), one row each; equal texts are reduced to one before their shuffle."""
-    known = docs.select(F.md5(F.col(text).cast("binary")).alias("digest"), F.col(text).alias("text"))
-    return settle(known.join(digests, "digest", "left_semi").groupBy("digest").agg(F.first("text").alias("text")))
+def texts_by_digest(docs: DataFrame, wanted: DataFrame, id_col: str, text: str) -> DataFrame:
+    """(digest, text) of the documents whose ids are ``wanted``: one id stands for all copies of a text, so copies never meet in a task."""
+    known = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).join(wanted, "id", "left_semi")
+    return settle(known.groupBy(F.md5(F.col("text").cast("binary")).alias("digest")).agg(F.first("text").alias("text")))
 
 
 def confirm(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
@@ -215,7 +215,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     rows = settle(signatures(docs, id_col, text))
     full = rows.where(F.col("sig").isNotNull() & F.col("id").isNotNull())
     reps = full.groupBy("digest").agg(F.min("id").alias("rep"), F.first("bands").alias("bands"), F.first("sig").alias("sig"), F.first("n_shingles").alias("size"))
-    hits = reps.select("digest", "sig", "size", F.explode("bands").alias("bucket"))
+    hits = reps.select("digest", "rep", "sig", "size", F.explode("bands").alias("bucket"))
     shared = hits.groupBy("bucket").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
     members = settle(hits.join(shared, "bucket"))
     degree = members.groupBy("digest").agg(F.sum("m").alias("degree"))
@@ -223,7 +223,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     hubs = ranked.groupBy("bucket").agg(F.max(F.struct("degree", "digest", "sig")).alias("hub")).select("bucket", F.col("hub.digest").alias("hub"), F.col("hub.sig").alias("hub_sig"))
     tried = members.join(hubs, "bucket").where("digest != hub").select("digest", "hub", "sig", "hub_sig").dropDuplicates(["digest", "hub"])
     close = _estimated(tried, floor_of(percent / 100))
-    texts = texts_by_digest(docs, members.select("digest").distinct(), text)
+    texts = texts_by_digest(docs, members.select(F.col("rep").alias("id")).distinct(), id_col, text)
     links = settle(confirm(close, texts, percent))
     comp = connected_components(links, "a", "b", contract=True)
     part = F.coalesce("component", "digest")
