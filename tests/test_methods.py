@@ -372,6 +372,7 @@ def test_edit_matches_equal_all_distances(spark):
         docs[k] = "".join(text) if k % 10 else ""
     corpus = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
     hits = spark.createDataFrame([(t, k) for t in range(6) for k in docs], "topic_id long, doc_id long")
+    apart = {(t, k, text): lev(doc, text) for t in range(6) for k, doc in docs.items() for text in plain[t].values()}
     for threshold, inclusive in ((0.2, False), (0.2, True), (0.35, False)):
         compared = mining.compare_versions(hits, corpus, packed_of(spark, rows), threshold, inclusive)
         got = {(r.topic_id, r.doc_id, r.version_from, r.version_to): r.dist for r in mining.edit_match(compared).collect()}
@@ -379,7 +380,7 @@ def test_edit_matches_equal_all_distances(spark):
         for t in range(6):
             for k, doc in docs.items():
                 for span, text in plain[t].items():
-                    d, most = lev(doc, text), threshold * len(doc)
+                    d, most = apart[t, k, text], threshold * len(doc)
                     if d < most - 1e-9 or inclusive and d <= most + 1e-9:
                         want[(t, k, *span)] = d
         assert got == want and len(want) > 100
