@@ -423,10 +423,12 @@ def test_runs_of_a_long_text_take_one_walk(spark):
 
 def test_queries_go_in_blocks_of_topics(spark, monkeypatch):
     rng = random.Random(11)
-    corpus = spark.createDataFrame([(k, [rng.choice("abcdefgh") for _ in range(rng.randint(0, 12))]) for k in range(60)], "doc_id long, toks array<string>")
+    corpus = spark.createDataFrame([(k, [rng.choice("abcdefgh") for _ in range(rng.randint(0, 12))] if k else None) for k in range(60)], "doc_id long, toks array<string>")
     terms = mining.query_terms(spark.createDataFrame([(t, [rng.choice("abcdxy") for _ in range(5)]) for t in range(9)], "topic_id long, toks array<string>"))
     whole = sorted(map(tuple, mining.top_k_scan(corpus, terms, 4).collect()))
     assert sorted(map(tuple, mining.top_k(mining.build_index(corpus), terms, 4).collect())) == whole
     monkeypatch.setattr(mining, "BROADCAST_TERMS", 7)
     assert sorted(map(tuple, mining.top_k_scan(corpus, terms, 4).collect())) == whole
     assert mining.build_index(corpus).postings().groupBy("doc_id").agg(F.sum("tf")).count() == corpus.where("size(toks) > 0").count()
+    assert mining.top_k_scan(corpus.where("false"), terms).count() == mining.top_k(mining.build_index(corpus.where("false")), terms).count() == 0
+    assert mining.top_k_scan(corpus, terms.where("false")).count() == 0

@@ -60,6 +60,11 @@ def _counted(doc: np.ndarray, codes: np.ndarray, of: int) -> tuple[np.ndarray, n
     return key // of, key % of, tf
 
 
+def _worded(corpus: DataFrame, toks: str) -> DataFrame:
+    """(doc_id, toks); a document without words counts as one of no length."""
+    return corpus.select(F.col("doc_id").cast("long"), F.coalesce(F.col(toks), F.array().cast("array<string>")).alias("toks"))
+
+
 def term_counts(corpus: DataFrame, toks: str = "toks") -> DataFrame:
     """(doc_id, length, terms, tfs) of each document, where it lies."""
 
@@ -73,7 +78,7 @@ def term_counts(corpus: DataFrame, toks: str = "toks") -> DataFrame:
             lists = (pa.ListArray.from_arrays(ends, x) for x in (coded.dictionary.take(pa.array(code)), pa.array(tf, pa.int32())))
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(sizes, pa.int32()), *lists], ["doc_id", "length", "terms", "tfs"])
 
-    return corpus.select(F.col("doc_id").cast("long"), F.col(toks).alias("toks")).mapInArrow(run, _CONTENTS)
+    return _worded(corpus, toks).mapInArrow(run, _CONTENTS)
 
 
 def build_index(corpus: DataFrame, toks: str = "toks") -> Index:
@@ -197,8 +202,9 @@ def top_k(index: Index, queries: DataFrame, k: int = 10) -> DataFrame:
 
 def top_k_scan(corpus: DataFrame, queries: DataFrame, k: int = 10, toks: str = "toks") -> DataFrame:
     """The same from the words themselves: two passes over the corpus, no index, no document in a shuffle."""
-    frequencies = _frequencies(corpus.select(_with_all(F.array_distinct(toks)), F.size(toks).alias("length")), queries)
-    return _search(corpus.select(F.col("doc_id").cast("long"), F.col(toks).alias("toks")), "toks", _of_words, queries, frequencies, k)
+    words = _worded(corpus, toks)
+    frequencies = _frequencies(words.select(_with_all(F.array_distinct("toks")), F.size("toks").alias("length")), queries)
+    return _search(words, "toks", _of_words, queries, frequencies, k)
 
 
 def candidates(hits: DataFrame, corpus: DataFrame, versions: DataFrame) -> DataFrame:
