@@ -207,12 +207,6 @@ def top_k_scan(corpus: DataFrame, queries: DataFrame, k: int = 10, toks: str = "
     return _search(words, "toks", _of_words, queries, frequencies, k)
 
 
-def candidates(hits: DataFrame, corpus: DataFrame, versions: DataFrame) -> DataFrame:
-    """Every hit beside every version of its topic: (topic_id, doc_id, doc_text, version_from, version_to, version_text)."""
-    docs = corpus.select("doc_id", F.col("text").alias("doc_text"))
-    return hits.select("topic_id", "doc_id").join(docs, "doc_id").join(versions.select("topic_id", "version_from", "version_to", F.col("text").alias("version_text")), "topic_id")
-
-
 def within(length: int, threshold: float, inclusive: bool = False) -> int:
     """The largest whole distance below (or at) threshold * length; thresholds have four places at most."""
     parts = round(threshold * 10_000) * length

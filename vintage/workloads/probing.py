@@ -40,8 +40,8 @@ def _dated_perplexity(spark: SparkSession, sf_dir: str, order: int = 2) -> DataF
     """Dated documents under a model of the earlier ones: (model, doc_id, month_ix, ppl)."""
     docs = _dated(spark, sf_dir)
     trained = docs.where(F.col("month_ix") <= s.TRAINED_UNTIL).select(tokens(F.col("text")).alias("toks"))
-    model = ngram_lm.train(ngram_lm.grams_of_arrays(trained, "toks").select("a", "b", "c", F.lit(1).cast("long").alias("dt")), ["dt"])
-    probe = ngram_lm.grams_of_arrays(docs.select("doc_id", "month_ix", head_tokens(F.col("text"), s.DATED_TOKENS).alias("toks")), "toks", "doc_id", "month_ix")
+    probe = stored(ngram_lm.grams_of_arrays(docs.select("doc_id", "month_ix", head_tokens(F.col("text"), s.DATED_TOKENS).alias("toks")), "toks", "doc_id", "month_ix"))
+    model = ngram_lm.train(ngram_lm.grams_of_arrays(trained, "toks").select("a", "b", "c", F.lit(1).cast("long").alias("dt")), ["dt"], probe)
     scored = ngram_lm.score(model, probe, order)
     return scored.groupBy("doc_id", "month_ix").agg(F.exp(-F.avg("lp_dt")).alias("ppl")).select(F.lit("dt").alias("model"), "doc_id", "month_ix", "ppl")
 
