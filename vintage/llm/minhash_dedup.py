@@ -115,7 +115,8 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> D
 
 def texts_by_digest(docs: DataFrame, wanted: DataFrame, id_col: str, text: str) -> DataFrame:
     """(digest, text) of the documents whose ids are ``wanted``: one id stands for all copies of a text, so copies never meet in a task."""
-    known = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).join(wanted, "id", "left_semi")
+    # The ids grow with the documents, so they are never broadcast, however few they look.
+    known = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).join(wanted.hint("merge"), "id", "left_semi")
     return settle(known.groupBy(F.md5(F.col("text").cast("binary")).alias("digest")).agg(F.first("text").alias("text")))
 
 
