@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from vintage import workloads
 from vintage.functions import udfs
-from vintage.operators.joins import checked_cross
+from vintage.operators.joins import checked_cross, row_salt, salted_count, salted_join
 from vintage.plans import curves
 from vintage.sources import tables
 from vintage.streaming import histograms
@@ -48,6 +48,22 @@ def test_cross_join_is_guarded(spark):
         checked_cross(spark.range(5), spark.range(50), most=10)
 
 
+def test_salts_depend_on_no_order(spark):
+    rows = [(k % 3, f"t{k}", {"a": k}) for k in range(300)]
+    kind = "k long, `t.x` string, m map<string,int>"
+    one, other = (spark.createDataFrame(r, kind).coalesce(1) for r in (rows, rows[::-1]))
+    salts = [sorted((r["t.x"], r["s"]) for r in df.withColumn("s", row_salt(df, 8)).collect()) for df in (one, other)]
+    assert salts[0] == salts[1] and {s for _, s in salts[0]} == set(range(8))
+
+    side = spark.createDataFrame([(0, "zero"), (1, "one"), (9, "none")], "k long, name string")
+    for how, n in (("inner", 200), ("left", 300), ("left_semi", 200), ("left_anti", 100)):
+        assert salted_join(one, side, "k", 4, how).count() == one.join(side, "k", how).count() == n
+    for how in ("right", "full", "outer"):
+        with pytest.raises(ValueError, match="repeated side"):
+            salted_join(one, side, "k", 4, how)
+    assert {tuple(r) for r in salted_count(one.repartition(5), ["k"], 3).collect()} == {(0, 100), (1, 100), (2, 100)}
+
+
 @pytest.mark.parametrize("name,has,lacks", [
     ("scan_prune", ["PushedFilters: [IsNotNull(l_quantity)", "ReadSchema: struct<l_orderkey:bigint,l_quantity:double,l_shipdate:"], ["Python"]),
     ("topk_group", ["WindowGroupLimit"], ["Python"]),
